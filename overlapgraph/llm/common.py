@@ -7,6 +7,7 @@ import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.utils import AnalysisException
 
 #: White space that separates words (fixed value): space and tab to carriage return.
 WS = r"[\x20\x09-\x0D]+"
@@ -50,6 +51,24 @@ def bounded_broadcast(df: DataFrame, max_rows: int) -> DataFrame:
     return F.broadcast(df) if small_enough(df, max_rows) else df
 
 
+FILE, ROW = "__file", "__row"
+
+
+def located(docs: DataFrame) -> DataFrame:
+    """All columns and a locator of each row, (hash of the file, row in it), stable over re-reads.
+
+    A frame that is no plain file scan is staged in the shared folder first, so that later reads see the same rows.
+    """
+    if ROW in docs.columns:
+        return docs
+    if "_metadata" not in docs.columns:
+        try:
+            return docs.select("*", F.xxhash64("_metadata.file_path").alias(FILE), F.col("_metadata.row_index").alias(ROW))
+        except AnalysisException:
+            pass  # no file scan
+    return materialise(docs.select("*", F.lit(0).cast("long").alias(FILE), F.monotonically_increasing_id().alias(ROW)), "content")
+
+
 def text_of(col: str | Column) -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(""))
 

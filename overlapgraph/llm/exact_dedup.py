@@ -13,9 +13,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.utils import AnalysisException
 
-from .common import bounded_broadcast, materialise, scratch_path, squeezed
+from .common import FILE, ROW, bounded_broadcast, located, materialise, scratch_path, squeezed
 
 #: Up to this many digests (about 60 bytes each) are broadcast; beyond it the joins shuffle.
 BROADCAST_ROWS = 300_000
@@ -37,23 +36,6 @@ def sha256_digest(text: Column) -> Column:
     return F.sha2(text.cast("binary"), 256)
 
 
-def _located(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(doc, file, row, text) with a locator that names each row of the content for good."""
-    base = docs.select(F.col(id_col).cast("long").alias("doc"), squeezed(text_col).alias("text"))
-    if "_metadata" not in docs.columns:
-        try:
-            return docs.select(
-                F.col(id_col).cast("long").alias("doc"),
-                F.xxhash64("_metadata.file_path").alias("file"),
-                F.col("_metadata.row_index").alias("row"),
-                squeezed(text_col).alias("text"),
-            )
-        except AnalysisException:
-            pass  # not a file scan: the content is staged below
-    staged = materialise(base.withColumn("row", F.monotonically_increasing_id()), "xd-content")
-    return staged.select("doc", F.lit(0).cast("long").alias("file"), "row", "text")
-
-
 def retain(log: DataFrame, log_path: str, files_per_batch: int | None = None) -> DataFrame:
     """Run the stream over the arrival log until it has all of it; the state as rows.
 
@@ -91,7 +73,7 @@ def retain(log: DataFrame, log_path: str, files_per_batch: int | None = None) ->
 def exact_duplicates(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest=sha256_digest, files_per_batch: int | None = None
 ) -> DataFrame:
-    """One row per input row: id, keep_id, group_size, kept, text_sha256, file, row (its locator).
+    """One row per input row: id, keep_id, group_size, kept, text_sha256, and its locator.
 
     Texts are equal when their bytes are, after each run of white space became one space; null
     text counts as empty. The smallest id of a group stays; a null id sorts last, and among
@@ -99,7 +81,7 @@ def exact_duplicates(
     weak one costs time, never a wrong group. Other columns are ignored, so their names cannot clash.
     """
     spark = docs.sparkSession
-    content = _located(docs, id_col, text_col)
+    content = located(docs).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), squeezed(text_col).alias("text"))
     # whether the id is null comes first, so that nulls sort last
     at = F.struct(F.col("doc").isNull().alias("no"), "doc", "file", "row")
     log_path = scratch_path(spark, "xd-log")
@@ -129,6 +111,13 @@ def exact_duplicates(
         F.col("n").cast("long").alias("group_size"),
         (F.col("at") == F.col("keep")).alias("kept"),
         F.col("sha").alias("text_sha256"),
-        F.col("at.file").alias("file"),
-        F.col("at.row").alias("row"),
+        F.col("at.file").alias(FILE),
+        F.col("at.row").alias(ROW),
     )
+
+
+def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows that stay, with all their columns."""
+    here = located(docs)
+    gone = materialise(exact_duplicates(here, id_col, text_col).where(~F.col("kept")).select(FILE, ROW), "xd-gone")
+    return here.join(bounded_broadcast(gone, BROADCAST_ROWS), [FILE, ROW], "left_anti").drop(FILE, ROW)

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import NOT_WS, bounded_broadcast, materialise, text_of
+from .common import FILE, NOT_WS, ROW, bounded_broadcast, located, materialise, text_of
 
 WEIGHTS = (5, 2, 1)
 MAX_REPEATS = 3
@@ -86,3 +86,16 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     return out.select(
         F.col("doc").alias(id_col), F.col("words").alias("size"), "source_size", "target", "copies", (F.col("words") * F.col("copies")).cast("long").alias("taken")
     )
+
+
+#: Up to this many decisions (24 bytes each) are broadcast to the documents; beyond it the join shuffles.
+BROADCAST_DECISIONS = 500_000
+
+
+def emit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: str = SEED) -> DataFrame:
+    """The mix itself: every row as often as it is taken, with all its columns."""
+    here = located(docs)
+    slim = here.select(F.col(id_col).cast("long").alias("doc"), source_key(source_col).alias("src"), words_in(text_col).alias("words"), FILE, ROW)
+    taken = materialise(mix_slim(materialise(slim, "mix-slim"), seed).where("copies > 0").select(FILE, ROW, F.col("copies").alias("__copies")), "mix-taken")
+    out = here.join(bounded_broadcast(taken, BROADCAST_DECISIONS), [FILE, ROW])
+    return out.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*docs.columns)

@@ -84,7 +84,7 @@ WITH docs AS (
 
 
 def op10_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return probminhash.near_duplicates(read_table(spark, sf_dir, "documents"))
+    return probminhash.near_duplicates(read_table(spark, sf_dir, "documents")).select("doc_id", "class_id", "class_size", "kept", "n_links")
 
 
 @lru_cache
