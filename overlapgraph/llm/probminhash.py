@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import bounded_broadcast, materialise, small_enough, squeezed, text_of
+from .common import FILE, ROW, bounded_broadcast, located, materialise, squeezed, text_of
 from .components import components
 
 SHINGLE_WORDS = 5
@@ -173,7 +173,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFram
 def near_duplicates(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS
 ) -> DataFrame:
-    """One row per input row: id, class_id, class_size, kept, n_links.
+    """One row per input row: id, class_id, class_size, kept, n_links, and its locator.
 
     ``class_id`` is the smallest id in the class (connected component of verified links and exact
     copies); ``kept`` marks one row of each class; ``n_links`` counts the verified links of the
@@ -181,25 +181,27 @@ def near_duplicates(
     id sorts last, and a class with null ids alone has a null class_id. Repeated rows are
     copies. Other columns are ignored, so their names cannot clash.
 
-    Every bucket links its members to one centre; verified links contract to components, and buckets
-    that still hold several components get another centre, until a round adds no link. A
-    round makes at most one pair per bucket member, whatever the size of the bucket.
+    Every bucket links its members to one centre, which then leaves the bucket; verified links
+    contract to components, and buckets that still hold several components get another centre,
+    until a round adds no link. A round makes at most one pair per bucket member, whatever the
+    size of the bucket, and small buckets are compared in full.
     """
     spark = docs.sparkSession
-    base = docs.select(F.col(id_col).cast("long").alias("doc"), text_of(text_col).alias("text"))
+    base = located(docs).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), text_of(text_col).alias("text"))
+    long = T.LongType()
+    at_type = T.StructType([T.StructField("file", long), T.StructField("row", long)])
     id_type = T.StructType(
         [
-            T.StructField("id", T.StructType([T.StructField("doc", T.LongType()), T.StructField("digest", T.BinaryType())])),
+            T.StructField("id", T.StructType([T.StructField("doc", long), T.StructField("at", at_type), T.StructField("digest", T.BinaryType())])),
             T.StructField("n", T.LongType()),
             T.StructField("keys", T.ArrayType(T.LongType())),
         ]
     )
-    sketched = base.select(F.struct("doc", _digest("text").alias("digest")).alias("id"), "text").mapInArrow(
+    named = F.struct("doc", F.struct("file", "row").alias("at"), _digest("text").alias("digest"))
+    sketched = base.select(named.alias("id"), "text").mapInArrow(
         lambda it: _sketch_batches(it, bands, rows), id_type
     )
-    rows_ = materialise(
-        sketched.select("id.doc", "id.digest", "n", "keys").withColumn("at", F.monotonically_increasing_id()), "nd-sketch"
-    )
+    rows_ = materialise(sketched.select("id.doc", "id.at", "id.digest", "n", "keys"), "nd-sketch")
     order = F.struct(F.col("doc").isNull(), F.col("doc"), F.col("at"))
     copies = materialise(
         rows_.groupBy("digest")
@@ -224,35 +226,43 @@ def near_duplicates(
     texts = materialise(texts, "nd-text")
 
     links, tried, label, turn = None, None, None, 0
+    # what is left of the buckets: (key, k, p, n, comp); in the beginning each text is its own component
+    state = members.withColumn("comp", F.col("k"))
     while True:
         turn += 1
-        at = members.withColumn("comp", F.col("k")) if label is None else members.join(
-            bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left"
-        ).select("key", "k", "p", "n", F.coalesce("root", "k").alias("comp"))
         # the centre: in the first round the text of least hash, later one of a small component
-        weight = F.col("p").cast("double") if turn == 1 else F.pmod(F.xxhash64("comp", "key", F.lit(turn)), F.lit(1 << 30)) * F.col("size")
         pick = F.struct("k", "comp", "n")
-        heads = at.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("size"), F.min_by(pick, F.xxhash64("p", F.lit(turn))).alias("head"), F.min("p").alias("p"))
         if turn == 1:
-            heads = at.groupBy("key").agg(F.min_by(pick, "p").alias("c"))
+            heads = state.groupBy("key").agg(F.min_by(pick, "p").alias("c"))
         else:
+            weight = F.pmod(F.xxhash64("comp", "key", F.lit(turn)), F.lit(1 << 30)) * F.col("size")
+            heads = state.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("size"), F.min_by(pick, F.xxhash64("p", F.lit(turn))).alias("head"))
             heads = heads.groupBy("key").agg(F.min_by("head", weight).alias("c"), F.count(F.lit(1)).alias("comps")).where("comps > 1").drop("comps")
         heads = materialise(heads, "nd-centres")
+        placed = materialise(state.join(bounded_broadcast(heads, BROADCAST_ROWS), "key"), "nd-placed")
+        lo, hi = F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")
         pairs = (
-            at.join(bounded_broadcast(heads, BROADCAST_ROWS), "key")
-            .where((F.col("comp") != F.col("c.comp")) & (F.least("n", "c.n") >= F.lit(similarity) * F.greatest("n", "c.n")))
+            placed.where((F.col("comp") != F.col("c.comp")) & (F.least("n", "c.n") >= F.lit(similarity) * F.greatest("n", "c.n")))
             .select(F.col("c.k").alias("a"), F.col("k").alias("b"))
-            .distinct()
+            .groupBy(lo, hi)
+            .agg(F.min("a").alias("a"))
+            .select("a", F.when(F.col("a") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("b"), "lo", "hi")
         )
         if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti").join(tried.select(F.col("a").alias("b"), F.col("b").alias("a")), ["a", "b"], "left_anti")
+            pairs = pairs.join(tried, ["lo", "hi"], "left_anti")
         pairs = materialise(pairs, "nd-pairs")
-        found = materialise(_verified(pairs, texts, similarity), "nd-links")
+        found = materialise(_verified(pairs.select("a", "b"), texts, similarity), "nd-links")
         if found.isEmpty():
             break
         links = found if links is None else links.unionByName(found)
-        tried = pairs if tried is None else tried.unionByName(pairs)
+        tried = pairs.select("lo", "hi") if tried is None else tried.unionByName(pairs.select("lo", "hi"))
         label = components(links)
+        # a centre has met every other component of its bucket and leaves it; a bucket of one component is done
+        left = placed.where("k <> c.k").select("key", "k", "p", "n")
+        left = left.join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", F.coalesce("root", "k").alias("comp"))
+        left = materialise(left, "nd-left")
+        open_ = left.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
+        state = materialise(left.join(bounded_broadcast(materialise(open_, "nd-open"), BROADCAST_ROWS), "key"), "nd-state")
 
     if links is None:
         classes = copies.select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), F.lit(0).cast("long").alias("n_links"))
@@ -271,5 +281,12 @@ def near_duplicates(
         classes = alone.unionByName(linked)
     classes = materialise(classes, "nd-classes")
     return rows_.select("doc", "digest", "at").join(classes, "digest").select(
-        F.col("doc").alias(id_col), "class_id", "class_size", (F.col("at") == F.col("keep_at")).alias("kept"), "n_links"
+        F.col("doc").alias(id_col), "class_id", "class_size", (F.col("at") == F.col("keep_at")).alias("kept"), "n_links", F.col("at.file").alias(FILE), F.col("at.row").alias(ROW)
     )
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each class, with all its columns."""
+    here = located(docs)
+    gone = materialise(near_duplicates(here, id_col, text_col).where(~F.col("kept")).select(FILE, ROW), "nd-gone")
+    return here.join(bounded_broadcast(gone, BROADCAST_ROWS), [FILE, ROW], "left_anti").drop(FILE, ROW)
