@@ -7,6 +7,7 @@ from functools import reduce
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import basis
 from .meshes import MeshSpec, digits, encode
@@ -58,7 +59,7 @@ def locate_bucket(points: DataFrame, spec: MeshSpec, x: str = "x", tol: float =
 def locate_tree(points: DataFrame, spec: MeshSpec, x: str = "x", tol: float = TOLERANCE) -> DataFrame:
     """Baseline: bisection on the sorted span faces of each axis, for any spacing of the faces."""
     faces = [[spec.lo[a] + i * spec.h[a] for i in range(spec.n_el[a] + 1)] for a in range(spec.dim)]
-    schema = points.schema.add("e_g", "long")
+    schema = T.StructType([*points.schema.fields, T.StructField("e_g", T.LongType())])
 
     def run(batches):
         import pyarrow as pa

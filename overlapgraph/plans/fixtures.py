@@ -69,9 +69,11 @@ def document_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "documents").select(F.col("doc_id").alias("v"), line).select(F.trim("line").alias("e"), "v").where("e <> ''").distinct()
 
 
-def shingles(text: str, width: int = 8):
-    words = F.split(F.trim(F.regexp_replace(F.lower(text), r"\s+", " ")), " ")
-    return F.when(F.size(words) >= width, F.transform(F.sequence(F.lit(1), F.size(words) - width + 1), lambda i: F.array_join(F.slice(words, i, width), " ")))
+def shingles(df: DataFrame, key: str, text: str = "text", width: int = 8) -> DataFrame:
+    """Rows (key, s): the runs of ``width`` words of each text, lower case; the words are split once per row."""
+    words = df.select(key, F.split(F.trim(F.regexp_replace(F.lower(text), r"\s+", " ")), " ").alias("w")).where(F.size("w") >= width)
+    runs = F.transform(F.sequence(F.lit(1), F.size("w") - width + 1), lambda i: F.array_join(F.slice("w", i, width), " "))
+    return words.select(key, F.explode(runs).alias("s"))
 
 
 def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
