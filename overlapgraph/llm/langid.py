@@ -15,7 +15,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -260,14 +260,30 @@ def predict_texts(texts: list[str], model: LangModel) -> tuple[list[str], np.nda
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_lang: int = TRAIN_DOCS_PER_LANG, max_chars: int = TRAIN_DOC_CHARS) -> LangModel:
-    """Train on a bounded sample of documents with a language, outside the test fold, by a hash of the id."""
+    """Train on a bounded sample of documents with a language, outside the test fold, by a hash of the id.
+
+    The number of languages is taken to be small (a sample of each is collected).
+    """
+    spark = docs.sparkSession
     known = docs.select(F.col(id_col).cast("long").alias("id"), F.col(lang_col).alias("lang"), F.length(text_of(text_col)).alias("n")).where(
         F.col("lang").isNotNull() & F.col("id").isNotNull() & ~held_out("id") & F.col("n").between(1, max_chars)
     )
-    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id"), "id"))
-    chosen = known.withColumn("place", place).where(F.col("place") <= per_lang).select("id", "lang")
+    # a hash threshold per language draws a little more than is wanted, whatever the size of a language
+    counts = known.groupBy("lang").agg(F.count(F.lit(1)).alias("c"))
+    share = F.least(F.lit(1.0), F.lit(1.3 * per_lang + 50) / F.col("c"))
+    place = F.pmod(F.xxhash64("id"), F.lit(1 << 40))
+    drawn = known.join(F.broadcast(counts), "lang").where(place < share * float(1 << 40)).select("id", "lang", place.alias("place")).distinct().collect()
+    chosen: list[tuple] = []
+    taken: dict[str, int] = {}
+    for r in sorted(drawn, key=lambda r: (r["lang"], r["place"], r["id"])):
+        taken[r["lang"]] = taken.get(r["lang"], 0) + 1
+        if taken[r["lang"]] <= per_lang:
+            chosen.append((r["id"], r["lang"]))
+    if not chosen:
+        return train([], [])
+    few = spark.createDataFrame(chosen, "id long, lang string")
     got = docs.select(F.col(id_col).cast("long").alias("id"), F.col(lang_col).alias("lang"), text_of(text_col).alias("t"))
-    rows = got.join(F.broadcast(chosen.distinct()), ["id", "lang"]).groupBy("id", "lang").agg(F.min("t").alias("t")).collect()
+    rows = got.join(F.broadcast(few), ["id", "lang"]).groupBy("id", "lang").agg(F.min("t").alias("t")).collect()
     rows.sort(key=lambda r: (r["id"], r["lang"]))
     return train([r["t"] for r in rows], [r["lang"] for r in rows])
 
