@@ -59,10 +59,11 @@ def word_features(block: tv.Block, buckets: int) -> Iterator[tuple[np.ndarray, n
         for kind, lo in ((10, block.w_start[at]), (20, block.w_end[at] - k)):
             h = block.spans_hash(sums, lo, lo + k)
             yield at, (tv.mix(h + np.uint64(kind + k)) & mask).astype(np.int64)
-    blank = block.blank
-    codes = np.where(blank, np.uint32(0), block.codes)
     # the word of a letter
-    owner = np.cumsum(np.concatenate([[True], blank[:-1]]) & ~blank) - 1
+    owner = np.cumsum(np.concatenate([[True], block.blank[:-1]]) & ~block.blank) - 1
+    # a blank in front, so that the first word of a block has the same edge as any other
+    blank = np.concatenate([[True], block.blank])
+    codes = np.concatenate([[np.uint32(0)], np.where(block.blank, np.uint32(0), block.codes)])
     for g in (2, 3):
         m = len(codes) - g + 1
         if m <= 0:
@@ -75,7 +76,7 @@ def word_features(block: tv.Block, buckets: int) -> Iterator[tuple[np.ndarray, n
         for j in range(1, g - 1):
             ok &= ~blank[j : j + m]
         at = np.flatnonzero(ok)
-        yield owner[at + blank[at]], (h[at] & np.uint32(buckets - 1)).astype(np.int64)
+        yield owner[at - 1 + blank[at]], (h[at] & np.uint32(buckets - 1)).astype(np.int64)
 
 
 def emissions(block: tv.Block, weights: np.ndarray) -> np.ndarray:

@@ -58,8 +58,9 @@ def features(block: tv.Block, buckets: int) -> Iterator[tuple[np.ndarray, np.nda
         # a pair of equal words is also hashed as "word, same again", whatever the word
         again = np.flatnonzero(same & (word[1:] == word[:-1]))
         yield block.w_doc[again + 1], np.full(len(again), _AGAIN & (buckets - 1), np.uint32)
-    codes = np.where(block.blank, np.uint32(32), block.codes)
-    blank = block.blank
+    # a blank in front, so that the first word of a block has the same edge as any other
+    blank = np.concatenate([[True], block.blank])
+    codes = np.concatenate([[np.uint32(32)], np.where(block.blank, np.uint32(32), block.codes)])
     doc_of = np.repeat(np.arange(block.n), block.ends - block.starts)
     for n in NGRAMS:
         size = len(codes) - n + 1
@@ -73,6 +74,7 @@ def features(block: tv.Block, buckets: int) -> Iterator[tuple[np.ndarray, np.nda
         ok = ~(blank[:size] & blank[n - 1 :])
         for j in range(1, n - 1):
             ok &= ~blank[j : j + size]
+        # the second character of a gram is in the document of its word
         at = np.flatnonzero(ok)
         yield doc_of[at], h[at] & mask
 
