@@ -163,7 +163,6 @@ CUES = frozenset("copyright cookie cookies subscribe newsletter share comment co
 
 def block_features(blocks: list[Block]) -> list[list[str]]:
     out = []
-    n = len(blocks)
     for i, b in enumerate(blocks):
         f = ["bias"]
         path = b.path
@@ -182,7 +181,6 @@ def block_features(blocks: list[Block]) -> list[list[str]]:
         if "©" in b.text:
             f.append("sign")
         f += ["w:" + w for w in {w.lower() for w in _WORD.findall(b.text[:200])[:12]} & CUES]
-        f.append("at:" + ("first" if i == 0 else "last" if i == n - 1 else str(4 * i // n)))
         if i:
             f.append("same:" + str(blocks[i - 1].path == path))
         out.append(f)
@@ -254,8 +252,9 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
         if rng.random() < 0.05:
             layers = []
         out.extend(o for o, _ in layers)
-        put("", [f"<h1>{phrase(2, 9, False)}</h1>"], 1, "")
-        for _ in range(rng.randint(1, 12)):
+        if rng.random() < 0.85:
+            put("", [f"<h1>{phrase(1, 9, False)}</h1>"], 1, "")
+        for _ in range(rng.choice([1, 1, 2, 3, 5, 8, 12])):
             kind = rng.random()
             if kind < 0.68:
                 put("<p>", [rng.choice(["", "<b>", "<em>"]) + phrase(1, 90) + rng.choice(["", "<br>" + phrase(1, 20)])], 1, rng.choice(["</p>", ""]))
