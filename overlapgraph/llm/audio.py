@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from . import textvec as tv
 from .common import text_of
 
 ALIGN = 64
@@ -170,7 +171,7 @@ def encode_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """(id, n_bytes, media): the bytes of a text as the samples of a WAV file. Null counts as empty."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             made = [as_payload(t) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array([n for _, n in made], pa.int64()), pa.array([wav_bytes(b, params.rate) for b, _ in made], pa.binary())], ["id", "n_bytes", "media"]
@@ -190,7 +191,7 @@ def media_features(media: DataFrame, params: AudioParams = AudioParams(), with_t
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             rows = []
             for blob in batch.column(2):
                 stored = blob.as_py()

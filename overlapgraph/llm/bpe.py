@@ -24,10 +24,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from . import textvec as tv
 from .common import text_of
 
 #: Pieces of text whose ids a worker remembers; the memory is emptied when it is full.
-CACHE_PIECES = 400_000
+CACHE_PIECES = 200_000
+#: Pairs of tokens whose compatibility a worker remembers.
+CACHE_PAIRS = 300_000
 #: Longer pieces are not remembered.
 CACHE_CHARS = 64
 
@@ -90,7 +93,7 @@ class PrefixEncoder:
                 raw = as_bytes[t]
                 self.automaton.add_word(raw.decode("latin-1"), (i, len(raw)))
         self.automaton.make_automaton()
-        self.pairs: dict[tuple[int, int], bool] = {}
+        self.pairs: dict[int, bool] = {}  # by left << 32 | right
         self.pattern = piece_pattern()
         self.cut = re.compile("(" + "|".join(re.escape(s) for s in sorted(self.special, key=len, reverse=True)) + ")") if self.special else None
         self.cache: dict[str, bytes] = {}
@@ -102,7 +105,7 @@ class PrefixEncoder:
         the two tokens at the border stood side by side from the later of their own merges until
         the merge that was just undone, and in that time no merge may have joined them.
         """
-        key = (left, right)
+        key = left << 32 | right
         known = self.pairs.get(key)
         if known is not None:
             return known
@@ -122,7 +125,7 @@ class PrefixEncoder:
                 until, inclusive, left = made_l, False, self.parts[left][1]
             else:
                 until, inclusive, right = made_r, True, self.parts[right][0]
-        if len(self.pairs) > 2_000_000:
+        if len(self.pairs) >= CACHE_PAIRS:
             self.pairs.clear()
         self.pairs[key] = ok
         return ok
@@ -143,7 +146,7 @@ class PrefixEncoder:
             else:
                 prev = last[before]
                 if prev >= 0:
-                    ok = pairs.get((prev, token))
+                    ok = pairs.get(prev << 32 | token)
                     if may(prev, token) if ok is None else ok:
                         last[end], width[end] = token, size
         out = []
@@ -222,7 +225,7 @@ def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = encoder_of(spec.value)
-        for batch in batches:
+        for batch in tv.pieces(batches):
             n, ids_hash, text_hash, ids = [], [], [], []
             for text in batch.column(1).to_pylist():
                 packed = coder.encode_packed(text)

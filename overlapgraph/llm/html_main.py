@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import crf
+from . import textvec as tv
 from .common import text_of
 
 #: Elements by their role in HTML (fixed values).
@@ -318,7 +319,7 @@ def extract(pages: DataFrame, model: crf.ChainModel, id_col: str = "page_id", ht
     shared = pages.sparkSession.sparkContext.broadcast(model)  # some hundred features
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             last = batch.num_columns - 1
             texts = [main_text(t, shared.value) for t in batch.column(last).to_pylist()]
             cols = [*batch.columns[:last], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())]

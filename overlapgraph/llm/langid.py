@@ -244,7 +244,7 @@ def predict_texts(texts: list[str], model: LangModel) -> tuple[list[str], np.nda
     """(language, score, number of switches) of each text."""
     names, scores, switches = [], np.zeros(len(texts)), np.zeros(len(texts), np.int64)
     k = len(model.langs)
-    for a, b in tv.blocks(texts, 1 << 19):
+    for a, b in tv.blocks(texts):
         if not k:
             names += [UNDETERMINED] * (b - a)
             continue
@@ -298,7 +298,7 @@ def predict(docs: DataFrame, model: LangModel, id_col: str = "doc_id", text_col:
     shared = docs.sparkSession.sparkContext.broadcast(model)  # fixed size: buckets x languages
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             names, scores, switches = predict_texts(batch.column(2).to_pylist(), shared.value)
             cols = [batch.column(0), batch.column(1), pa.array(names, pa.string()), pa.array(scores), pa.array(switches)]
             yield pa.RecordBatch.from_arrays(cols, ["id", "held_out", "lang_pred", "score", "switches"])

@@ -110,9 +110,9 @@ def probability_jaccard(a: dict, b: dict) -> float:
 
 
 def _sketch_batches(batches: Iterator[pa.RecordBatch], bands: int, rows: int) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in tv.pieces(batches):
         ids, texts = batch.column(0), batch.column(1).to_pylist()
-        for a, b in tv.blocks(texts, 1 << 19):
+        for a, b in tv.blocks(texts):
             keys, n = sketch(texts[a:b], bands, rows)
             flat = pa.array(keys.reshape(-1))
             lists = pa.ListArray.from_arrays(pa.array(np.arange(0, keys.size + 1, bands, dtype=np.int32)), flat)
@@ -120,7 +120,7 @@ def _sketch_batches(batches: Iterator[pa.RecordBatch], bands: int, rows: int) ->
 
 
 def _verify_batches(batches: Iterator[pa.RecordBatch], similarity: float) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in tv.pieces(batches):
         a_id, b_id = batch.column(0).to_numpy(), batch.column(1).to_numpy()
         left, right = batch.column(2), batch.column(3)
         out = []

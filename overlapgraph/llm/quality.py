@@ -151,7 +151,7 @@ def predict(docs: DataFrame, model: QualityModel, id_col: str = "doc_id", text_c
     scorer = _scorer(docs.sparkSession, model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             s = scorer(batch.column(2).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], ["id", "held_out", "score", "predicted"])
 
@@ -166,7 +166,7 @@ def keep_good(docs: DataFrame, model: QualityModel, text_col: str = "text", thre
     at = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in tv.pieces(batches):
             s = scorer([t or "" for t in batch.column(at).to_pylist()])
             yield batch.filter(pa.array(s >= threshold))
 

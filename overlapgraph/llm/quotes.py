@@ -86,11 +86,11 @@ def link_quotes(messages: DataFrame, conv_col: str = "conv_id", turn_col: str =
             break
     paths = step.select("conv", "turn", F.col("up").alias("root_turn"), F.concat(_pad("up"), F.lit("/"), "tail").alias("path"))
 
-    rest = base.where(~has).select("conv", "turn", "role", F.col("text").alias("own_text"), F.lit(0).cast("long").alias("n_quotes"), F.lit(0).cast("long").alias("n_linked"), F.lit(0).alias("max_level"), F.lit(None).cast("long").alias("parent_turn"))
+    rest = base.where(~has).select("conv", "turn", "role", F.col("text").alias("own_text"), F.lit(0).cast("long").alias("n_quotes"), F.lit(0).cast("long").alias("n_linked"), F.lit(0).cast("long").alias("max_level"), F.lit(None).cast("long").alias("parent_turn"))
     a = base.where(has).select("conv", "turn", "role", F.sha2(F.col("text").cast("binary"), 256).alias("sha")).alias("a")
     b = info.alias("b")
     same = F.col("a.conv").eqNullSafe(F.col("b.conv")) & F.col("a.turn").eqNullSafe(F.col("b.turn")) & (F.col("a.sha") == F.col("b.sha"))
-    told = a.join(b, same, "left").select("a.conv", "a.turn", "a.role", F.coalesce("b.own", F.lit("")).alias("own_text"), F.coalesce("b.n_quotes", F.lit(0).cast("long")).alias("n_quotes"), F.coalesce("b.n_linked", F.lit(0).cast("long")).alias("n_linked"), F.coalesce("b.max_level", F.lit(0)).alias("max_level"), "b.parent_turn")
+    told = a.join(b, same, "left").select("a.conv", "a.turn", "a.role", F.coalesce("b.own", F.lit("")).alias("own_text"), F.coalesce("b.n_quotes", F.lit(0).cast("long")).alias("n_quotes"), F.coalesce("b.n_linked", F.lit(0).cast("long")).alias("n_linked"), F.coalesce("b.max_level", F.lit(0)).cast("long").alias("max_level"), "b.parent_turn")
     told = told.join(paths, ["conv", "turn"], "left")
     rest = rest.withColumn("root_turn", F.lit(None).cast("long")).withColumn("path", F.lit(None).cast("string"))
     every = rest.unionByName(told)

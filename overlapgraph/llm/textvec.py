@@ -1,6 +1,6 @@
 """Vectorised text features: code points, words and rolling hashes as numpy arrays.
 
-Texts are handled in blocks of about a million characters, so memory is bounded by the
+Texts are handled in blocks of about a quarter of a million characters, so memory is bounded by the
 block or by the longest single text, never by the size of an Arrow batch.
 """
 
@@ -9,8 +9,11 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 
-BLOCK_CHARS = 1 << 20
+BLOCK_CHARS = 1 << 18
+#: Rows of an Arrow batch that are turned into Python objects at a time.
+BATCH_ROWS = 512
 _BASE = 0x9E3779B97F4A7C15 | 1
 _powers: dict[str, np.ndarray] = {}
 
@@ -27,6 +30,13 @@ def blocks(texts: list[str], limit: int = BLOCK_CHARS) -> Iterator[tuple[int, in
         yield at, len(texts)
 
 
+def pieces(batches: Iterator[pa.RecordBatch], rows: int = BATCH_ROWS) -> Iterator[pa.RecordBatch]:
+    """The batches in slices without copies, so that only a slice is ever held as Python objects."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of an odd base and of its inverse modulo 2^64."""
     if "p" not in _powers or len(_powers["p"]) < n:
