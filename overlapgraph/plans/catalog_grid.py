@@ -716,3 +716,61 @@ def scaling_sweep(spark: SparkSession, g: MeshSpec, local: MeshSpec, parts=(8, 3
 @query()
 def weighting_experiment(spark, sf_dir):
     return scaling_sweep(spark, *fixtures.grid(10, 3, 10, 0.2), parts=(8,))
+
+
+# ---- the published mesh pair at full size -----------------------------------------------------------
+
+#: The published pair: 50 cubic spans and 25 linear elements per axis, the local box a tenth of the side.
+MESH1 = fixtures.grid(50, 3, 25, 0.1)
+
+
+@query("SELECT * FROM (VALUES ('GG', CAST(46268279 AS BIGINT)), ('LL', CAST(438976 AS BIGINT)), ('GL', CAST(1259712 AS BIGINT))) t(kind, n)")
+def mesh1_graph(spark, sf_dir):
+    """Ordered neighbour pairs of the full-size overlay, by kind (pairs between meshes once)."""
+    e = graph.graph_overlay(spark, *MESH1)
+    return e.groupBy("kind").agg(F.sum(F.when((F.col("i") == F.col("j")) | (F.col("kind") == "GL"), 1).otherwise(2)).alias("n"))
+
+
+@query("SELECT CAST(166453 AS BIGINT) AS n, 32768000000.0::DOUBLE AS gg, 64000000.0::DOUBLE AS ll, 512000000.0::DOUBLE AS c")
+def mesh1_weights(spark, sf_dir):
+    """Sums of the full-size weight components: the operation counts of generation."""
+    g, local = MESH1
+    w = weights.weight_components(meshes.incidence(spark, g), meshes.incidence(spark, local), geometry.crossed_by_overlap(spark, local, g), 64)
+    return w.agg(F.count(F.lit(1)).alias("n"), _r(F.sum("w_gg"), 0).alias("gg"), _r(F.sum("w_ll"), 0).alias("ll"), _r(F.sum("w_c"), 0).alias("c"))
+
+
+@query("SELECT * FROM (VALUES ('GG', CAST(46268279 AS BIGINT)), ('LL', CAST(438976 AS BIGINT)), ('GL', CAST(1259712 AS BIGINT))) t(blk, nnz)")
+def mesh1_matrix(spark, sf_dir):
+    """All blocks of the full-size matrix: the own blocks from axis matrices, the coupling by quadrature; entries are counted and their row sums vanish."""
+    g, local = MESH1
+    blocks = [("GG", asm.k_structured(spark, g)), ("LL", asm.k_structured(spark, local)), ("GL", asm.k_coupling(spark, local, g))]
+    out = [k.agg(F.lit(n).alias("blk"), F.count("val").alias("nnz"), F.sum("val").alias("s")).where("abs(s) < 1e-6").select("blk", "nnz") for n, k in blocks]
+    return reduce(DataFrame.unionByName, out)
+
+
+@query()
+def mesh1_quadrature(spark, sf_dir):
+    """The global block by full quadrature on every element, as the published operation count has it."""
+    return asm.k_own(spark, MESH1[0]).agg(F.count("val").alias("nnz"), F.sum("val").alias("total"))
+
+
+@query()
+def error_vs_parts(spark, sf_dir):
+    """The error with matrices that 1, 2, 4 and 8 parts generated for themselves: it must not change."""
+    e = _overlay(spark)
+    v = meshes.vertices(spark, GS).unionByName(meshes.vertices(spark, LS))
+    inc_g, inc_l = meshes.incidence(spark, GS), meshes.incidence(spark, LS)
+    f = asm.rhs(spark, GS, solve.sine_source).unionByName(asm.rhs(spark, LS, solve.sine_source))
+    fixed = v.where("fixed").select("v", F.lit(0.0).alias("value"))
+    out = []
+    for n in (1, 2, 4, 8):
+        part = partition.partition_hash(v, n)
+        ext = subdomain.extended_sets(e, part)
+        cells = subdomain.assign_cells(geometry.crossed_by_overlap(spark, LS, GS), inc_l, inc_g, ext)
+        gg = asm.assemble_owned(subdomain.assign_elements(inc_g, ext), asm.own_block(GS, 4, "laplace"), part, n)
+        ll = asm.assemble_owned(subdomain.assign_elements(inc_l, ext), asm.own_block(LS, 4, "laplace"), part, n)
+        gl = asm.assemble_owned(cells, asm.coupling_block(LS, GS, 4, "laplace"), part, n)
+        k = asm.block_system(*[b.select("i", "j", "val") for b in (gg, gl, ll)]).select("i", "j", "val")
+        s = solve.solve_local(spark, *asm.apply_dirichlet(k, f, fixed))
+        out.append(error_of(spark, GS, LS, s.x).select(F.lit(n).alias("n_dom"), "error"))
+    return reduce(DataFrame.unionByName, out)
