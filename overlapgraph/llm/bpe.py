@@ -28,9 +28,9 @@ from . import textvec as tv
 from .common import text_of
 
 #: Pieces of text whose ids a worker remembers; the memory is emptied when it is full.
-CACHE_PIECES = 200_000
+CACHE_PIECES = 150_000
 #: Pairs of tokens whose compatibility a worker remembers.
-CACHE_PAIRS = 300_000
+CACHE_PAIRS = 250_000
 #: Longer pieces are not remembered.
 CACHE_CHARS = 64
 
@@ -78,13 +78,13 @@ class PrefixEncoder:
         self.special = {a["content"]: a["id"] for a in spec.get("added_tokens") or []}
         self.token_bytes: dict[int, bytes] = {i: as_bytes.get(t, t.encode()) for t, i in vocab.items()}
         self.token_bytes |= {i: t.encode() for t, i in self.special.items()}
-        self.rank: dict[tuple[int, int], int] = {}
+        self.rank: dict[int, int] = {}  # by left << 32 | right
         self.parts: dict[int, tuple[int, int]] = {}
         self.made: dict[int, int] = {}
         for r, pair in enumerate(spec["model"]["merges"]):
             a, b = pair.split(" ") if isinstance(pair, str) else pair
             left, right, new = vocab[a], vocab[b], vocab[a + b]
-            self.rank.setdefault((left, right), r)
+            self.rank.setdefault(left << 32 | right, r)
             if new not in self.parts:
                 self.parts[new], self.made[new] = (left, right), r
         self.automaton = ahocorasick.Automaton()
@@ -113,7 +113,7 @@ class PrefixEncoder:
         inclusive = False  # on the right a merge of the same rank further left would come first
         ok = True
         while True:
-            r = self.rank.get((left, right))
+            r = self.rank.get(left << 32 | right)
             if r is not None and (r < until or (inclusive and r == until)):
                 ok = False
                 break
@@ -237,6 +237,8 @@ def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
                     ids.append(unpack(packed))
             out = [batch.column(0), pa.array(n, pa.int64()), pa.array(ids_hash, pa.string()), pa.array(text_hash, pa.string())]
             yield pa.RecordBatch.from_arrays([*out, pa.array(ids, pa.list_(pa.int32()))] if with_ids else out, names)
+        coder.cache.clear()
+        tv.release()
 
     fields = [T.StructField("id", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
     fields += [T.StructField("ids", T.ArrayType(T.IntegerType()))] * with_ids

@@ -131,7 +131,7 @@ def _verify_batches(batches: Iterator[pa.RecordBatch], similarity: float) -> Ite
             for key, col in ((a_id[i], left), (b_id[i], right)):
                 got = known.get(key)
                 if got is None:
-                    if size > 1 << 22:
+                    if size > 1 << 19:
                         known, size = {}, 0
                     got = known[key] = shingle_sets([col[i].as_py()])[1]
                     size += len(got)
