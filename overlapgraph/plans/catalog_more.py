@@ -9,7 +9,6 @@ from pyspark.sql import functions as F
 
 from ..operators import assembly as asm
 from ..operators import geometry, graph, meshes, metrics, partition, subdomain, weights
-from ..operators.meshes import MESH_STRIDE
 from ..sources.tables import load, store
 from ..streaming import streams
 from . import catalog_data as cd
@@ -149,9 +148,9 @@ def mean_of_three(spark, sf_dir):
 # ---- relational pieces --------------------------------------------------------------------------------
 
 
-@query(f"WITH {cd._OP} SELECT e, v, count(*) AS n FROM op WHERE e <= 200 GROUP BY GROUPING SETS ((e), (v), ())")
+@query(f"WITH {cd._OP} SELECT e, v, count(*) AS n FROM op GROUP BY GROUPING SETS ((e), (v), ())")
 def rel_grouping_sets(spark, sf_dir):
-    op = fixtures.orders_parts(spark, sf_dir).where("e <= 200")
+    op = fixtures.orders_parts(spark, sf_dir)
     return op.groupingSets([[F.col("e")], [F.col("v")], []], "e", "v").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -246,7 +245,7 @@ def stream_late_rows(spark, sf_dir):
     return closed.crossJoin(load(spark, sf_dir, "events").agg(F.count(F.lit(1)).alias("all_rows")))
 
 
-@query(f"SELECT doc_id AS v, CAST(doc_id % 8 AS INT) AS k FROM documents WHERE doc_id < {MESH_STRIDE}")
+@query("SELECT doc_id AS v, CAST(doc_id % 8 AS INT) AS k FROM documents")
 def partition_import(spark, sf_dir):
     """A partition that came from elsewhere, as a table."""
     return partition.partition_from_table(load(spark, sf_dir, "documents").select(F.col("doc_id"), (F.col("doc_id") % 8).alias("part")), "doc_id", "part")
