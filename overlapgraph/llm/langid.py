@@ -286,7 +286,10 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     got = docs.select(F.col(id_col).cast("long").alias("id"), F.col(lang_col).alias("lang"), text_of(text_col).alias("t"))
     rows = got.join(F.broadcast(few), ["id", "lang"]).groupBy("id", "lang").agg(F.min("t").alias("t")).collect()
     rows.sort(key=lambda r: (r["id"], r["lang"]))
-    return train([r["t"] for r in rows], [r["lang"] for r in rows])
+    model = train([r["t"] for r in rows], [r["lang"] for r in rows])
+    del rows
+    tv.release()
+    return model
 
 
 def predict(docs: DataFrame, model: LangModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

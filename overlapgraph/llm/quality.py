@@ -87,7 +87,7 @@ def train(texts: list[str], labels: list[int], buckets: int = 1 << 18, dim: int
     for t in texts:
         parts = [b for _, b in features(tv.Block([t]), buckets)]
         ids = np.concatenate(parts) if parts else np.zeros(0, np.uint32)
-        rows.append((lambda u, c: (u.astype(np.int64), (c / max(len(ids), 1)).astype(np.float32)))(*np.unique(ids, return_counts=True)))
+        rows.append((lambda u, c: (u.astype(np.int32), (c / max(len(ids), 1)).astype(np.float32)))(*np.unique(ids, return_counts=True)))
     total, done = max(1, epochs * len(texts)), 0
     for _ in range(epochs):
         for i in rng.permutation(len(texts)):
@@ -134,7 +134,10 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     sample.sort(key=lambda r: r["id"])
     if not sample:
         return QualityModel(np.zeros((4, 1), np.float32), np.zeros((1, 2), np.float32), np.zeros(2, np.float32))
-    return train([r["t"] for r in sample], [r["y"] for r in sample])
+    model = train([r["t"] for r in sample], [r["y"] for r in sample])
+    del sample
+    tv.release()
+    return model
 
 
 def _scorer(spark, model: QualityModel):
