@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import text_of
+from .common import text_batches, text_of
 
 ALIGN = 64
 
@@ -178,7 +178,7 @@ def encode_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             )
 
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_bytes", T.LongType()), T.StructField("media", T.BinaryType())])
-    return docs.select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, schema)
+    return text_batches(docs).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, schema)
 
 
 def media_features(media: DataFrame, params: AudioParams = AudioParams(), with_tensors: bool = True) -> DataFrame:
@@ -209,7 +209,7 @@ def media_features(media: DataFrame, params: AudioParams = AudioParams(), with_t
     schema = "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
     schema += ", pieces array<struct<start_s double, end_s double, frames int, values array<float>>>" * with_tensors
     names = [part.split()[0] for part in schema.split(", ")[:8]] + ["pieces"] * with_tensors
-    return media.mapInArrow(run, schema)
+    return text_batches(media).mapInArrow(run, schema)
 
 
 def tensor_column(values: pa.Array, params: AudioParams = AudioParams()) -> pa.ExtensionArray:

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import text_of
+from .common import text_batches, text_of
 
 #: Pieces of text whose ids a worker remembers; the memory is emptied when it is full.
 CACHE_PIECES = 150_000
@@ -243,5 +243,5 @@ def encode(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
     fields = [T.StructField("id", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
     fields += [T.StructField("ids", T.ArrayType(T.IntegerType()))] * with_ids
     names = [f.name for f in fields]
-    out = docs.select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, T.StructType(fields))
+    out = text_batches(docs).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, T.StructType(fields))
     return out.withColumnRenamed("id", id_col)

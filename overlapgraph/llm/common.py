@@ -51,6 +51,23 @@ def bounded_broadcast(df: DataFrame, max_rows: int) -> DataFrame:
     return F.broadcast(df) if small_enough(df, max_rows) else df
 
 
+#: Rows and bytes of the Arrow batches that carry whole texts between the JVM and Python.
+ARROW_ROWS, ARROW_BYTES = 500, 8 << 20
+
+
+def text_batches(df: DataFrame) -> DataFrame:
+    """The same frame, its session set to small Arrow batches: ten thousand long texts in one batch would not fit a worker.
+
+    These are settings of queries, not of the start of a session; smaller values that are already set stay.
+    """
+    conf = df.sparkSession.conf
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", ARROW_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BYTES)):
+        now = conf.get(key, None)
+        if now is None or not now.isdigit() or not 0 < int(now) <= most:
+            conf.set(key, str(most))
+    return df
+
+
 FILE, ROW = "__file", "__row"
 
 

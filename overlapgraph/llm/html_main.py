@@ -22,7 +22,7 @@ from pyspark.sql import types as T
 
 from . import crf
 from . import textvec as tv
-from .common import text_of
+from .common import text_batches, text_of
 
 #: Elements by their role in HTML (fixed values).
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -325,7 +325,7 @@ def extract(pages: DataFrame, model: crf.ChainModel, id_col: str = "page_id", ht
             cols = [*batch.columns[:last], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())]
             yield pa.RecordBatch.from_arrays(cols, names)
 
-    picked = pages.select(id_col, *keep, text_of(html_col).alias("html!"))
+    picked = text_batches(pages).select(id_col, *keep, text_of(html_col).alias("html!"))
     schema = T.StructType([*picked.schema.fields[:-1], T.StructField("text", T.StringType()), T.StructField("n_chars", T.LongType())])
     names = schema.names
     return picked.mapInArrow(run, schema)

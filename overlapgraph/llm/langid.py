@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import held_out, text_of
+from .common import held_out, text_batches, text_of
 
 #: Bounds of the training sample (documented parameters): documents of a language, and characters of one.
 TRAIN_DOCS_PER_LANG = 400
@@ -309,5 +309,5 @@ def predict(docs: DataFrame, model: LangModel, id_col: str = "doc_id", text_col:
     schema = T.StructType(
         [T.StructField("id", T.LongType()), T.StructField("held_out", T.BooleanType()), T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("switches", T.LongType())]
     )
-    out = docs.select(F.col(id_col).cast("long").alias("id"), held_out(id_col).alias("held_out"), text_of(text_col).alias("text")).mapInArrow(run, schema)
+    out = text_batches(docs).select(F.col(id_col).cast("long").alias("id"), held_out(id_col).alias("held_out"), text_of(text_col).alias("text")).mapInArrow(run, schema)
     return out.withColumnRenamed("id", id_col)

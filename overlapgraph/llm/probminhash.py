@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import FILE, ROW, bounded_broadcast, located, materialise, squeezed, text_of
+from .common import FILE, ROW, bounded_broadcast, located, materialise, squeezed, text_batches, text_of
 from .components import components
 
 SHINGLE_WORDS = 5
@@ -187,7 +187,7 @@ def near_duplicates(
     size of the bucket, and small buckets are compared in full.
     """
     spark = docs.sparkSession
-    base = located(docs).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), text_of(text_col).alias("text"))
+    base = located(text_batches(docs)).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), text_of(text_col).alias("text"))
     long = T.LongType()
     at_type = T.StructType([T.StructField("file", long), T.StructField("row", long)])
     id_type = T.StructType(

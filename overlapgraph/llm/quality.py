@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import held_out, text_of
+from .common import held_out, text_batches, text_of
 
 #: Bounds of the training sample (documented parameters): labelled documents, and characters of one of them.
 TRAIN_DOCS = 4_000
@@ -159,7 +159,7 @@ def predict(docs: DataFrame, model: QualityModel, id_col: str = "doc_id", text_c
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], ["id", "held_out", "score", "predicted"])
 
     schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("held_out", T.BooleanType()), T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
-    out = docs.select(F.col(id_col).cast("long").alias("id"), held_out(id_col).alias("held_out"), text_of(text_col).alias("text")).mapInArrow(run, schema)
+    out = text_batches(docs).select(F.col(id_col).cast("long").alias("id"), held_out(id_col).alias("held_out"), text_of(text_col).alias("text")).mapInArrow(run, schema)
     return out.withColumnRenamed("id", id_col)
 
 
@@ -173,4 +173,4 @@ def keep_good(docs: DataFrame, model: QualityModel, text_col: str = "text", thre
             s = scorer([t or "" for t in batch.column(at).to_pylist()])
             yield batch.filter(pa.array(s >= threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return text_batches(docs).mapInArrow(run, docs.schema)
