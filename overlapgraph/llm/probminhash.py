@@ -210,9 +210,12 @@ def near_duplicates(
         "nd-texts",
     )
     spread = copies.where("n > 0").select("k", "p", "n", F.explode("keys").alias("key"))
-    shared = spread.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("key")
+    shared = spread.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     shared = materialise(shared, "nd-shared")
     members = materialise(spread.join(bounded_broadcast(shared, BROADCAST_ROWS), "key"), "nd-members")
+    # a text that meets many others is the likely origin of its copies, and the best first centre
+    met = materialise(members.groupBy("k").agg(F.sum("c").alias("met")), "nd-met")
+    members = members.drop("c").join(bounded_broadcast(met, BROADCAST_ROWS), "k")
     involved = members.select("k").distinct()
     named = copies.join(bounded_broadcast(involved, BROADCAST_ROWS), "k").select("k", "digest", F.col("first.doc").alias("doc"))
     named = materialise(named, "nd-named")
@@ -226,17 +229,17 @@ def near_duplicates(
     texts = materialise(texts, "nd-text")
 
     links, tried, label, turn = None, None, None, 0
-    # what is left of the buckets: (key, k, p, n, comp); in the beginning each text is its own component
+    # what is left of the buckets: (key, k, p, n, met, comp); in the beginning each text is its own component
     state = members.withColumn("comp", F.col("k"))
     while True:
         turn += 1
-        # the centre: in the first round the text of least hash, later one of a small component
+        # the centre: in the first round the text that meets most others, later one of a small component
         pick = F.struct("k", "comp", "n")
         if turn == 1:
-            heads = state.groupBy("key").agg(F.min_by(pick, "p").alias("c"))
+            heads = state.groupBy("key").agg(F.max_by(pick, F.struct("met", "p")).alias("c"))
         else:
             weight = F.pmod(F.xxhash64("comp", "key", F.lit(turn)), F.lit(1 << 30)) * F.col("size")
-            heads = state.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("size"), F.min_by(pick, F.xxhash64("p", F.lit(turn))).alias("head"))
+            heads = state.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("size"), F.min_by(pick, F.xxhash64("p", "key", F.lit(turn))).alias("head"))
             heads = heads.groupBy("key").agg(F.min_by("head", weight).alias("c"), F.count(F.lit(1)).alias("comps")).where("comps > 1").drop("comps")
         heads = materialise(heads, "nd-centres")
         placed = materialise(state.join(bounded_broadcast(heads, BROADCAST_ROWS), "key"), "nd-placed")
@@ -258,8 +261,8 @@ def near_duplicates(
         tried = pairs.select("lo", "hi") if tried is None else tried.unionByName(pairs.select("lo", "hi"))
         label = components(links)
         # a centre has met every other component of its bucket and leaves it; a bucket of one component is done
-        left = placed.where("k <> c.k").select("key", "k", "p", "n")
-        left = left.join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", F.coalesce("root", "k").alias("comp"))
+        left = placed.where("k <> c.k").select("key", "k", "p", "n", "met")
+        left = left.join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", "met", F.coalesce("root", "k").alias("comp"))
         left = materialise(left, "nd-left")
         open_ = left.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
         state = materialise(left.join(bounded_broadcast(materialise(open_, "nd-open"), BROADCAST_ROWS), "key"), "nd-state")
