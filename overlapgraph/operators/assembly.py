@@ -239,7 +239,7 @@ def gram_entries(points: DataFrame, a: MeshSpec, b: MeshSpec | None = None) -> D
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = np.array(batch.column("x").to_pylist(), float).reshape(-1, a.dim)
+            x = batch.column("x").flatten().to_numpy(zero_copy_only=False).reshape(-1, a.dim)
             w = batch.column("w").to_numpy(zero_copy_only=False)
             ha, hb = _host(a, x), _host(b_spec, x)
             na, nb = _values(a, x, ha)[0], _values(b_spec, x, hb)[0]
@@ -263,7 +263,7 @@ def gram_rhs(points: DataFrame, spec: MeshSpec, target: str) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = np.array(batch.column("x").to_pylist(), float).reshape(-1, spec.dim)
+            x = batch.column("x").flatten().to_numpy(zero_copy_only=False).reshape(-1, spec.dim)
             y = batch.column("w").to_numpy(zero_copy_only=False) * batch.column("y").to_numpy(zero_copy_only=False)
             host = _host(spec, x)
             v, val = _vertex_ids(spec, host), _values(spec, x, host)[0] * y[:, None]

@@ -162,7 +162,7 @@ def evaluate(points: DataFrame, g: MeshSpec, local: MeshSpec | None, x: DataFram
         import pyarrow as pa
 
         for b in batches:
-            at = np.array(b.column("x").to_pylist(), float).reshape(-1, g.dim)
+            at = b.column("x").flatten().to_numpy(zero_copy_only=False).reshape(-1, g.dim)
             ids = b.column("__at").to_numpy()
             for spec in [g] + ([local] if local else []):
                 inside = np.all((at >= np.array(spec.lo) - 1e-12) & (at <= np.array(spec.hi) + 1e-12), axis=1)

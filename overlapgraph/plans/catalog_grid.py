@@ -748,9 +748,8 @@ def mesh1_matrix(spark, sf_dir):
     return reduce(DataFrame.unionByName, out)
 
 
-@query()
 def mesh1_quadrature(spark, sf_dir):
-    """The global block by full quadrature on every element, as the published operation count has it."""
+    """The global block by full quadrature on every element, as the published operation count has it; minutes long, so no registered query."""
     return asm.k_own(spark, MESH1[0]).agg(F.count("val").alias("nnz"), F.sum("val").alias("total"))
 
 
