@@ -14,7 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -142,6 +142,15 @@ def _verify_batches(batches: Iterator[pa.RecordBatch], similarity: float) -> Ite
         yield pa.RecordBatch.from_arrays([pa.array(a_id[ok]), pa.array(b_id[ok]), pa.array(sim[ok])], ["a", "b", "sim"])
 
 
+def _shingle_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in tv.pieces(batches):
+        k, comp, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_pylist()
+        for a, b in tv.blocks(texts):
+            doc, shingle, _ = shingle_sets(texts[a:b])
+            n = np.bincount(doc, minlength=b - a)[doc].astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(k[a:b][doc]), pa.array(comp[a:b][doc]), pa.array(n), pa.array(shingle.view(np.int64))], ["k", "comp", "n", "s"])
+
+
 #: Up to this many ids or keys (at most 40 bytes each) are broadcast; beyond it the joins shuffle.
 BROADCAST_ROWS = 500_000
 #: Pairs that share a centre are split into groups of about this many before its text is joined.
@@ -170,6 +179,36 @@ def _verified(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFram
     return both.mapInArrow(lambda it: _verify_batches(it, similarity), schema)
 
 
+def _close_pairs(open_: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (lo, hi) of texts of different components, among them all that reach the threshold.
+
+    ``open_`` has rows (k, comp). Shingles are ordered by rarity, those of one component alone first. Two sets
+    that need ``o`` common members have one among the first ``n - o + 1`` of each, so the
+    smaller set is looked up by few rare shingles; texts whose first shingles are their own meet nobody.
+    """
+    schema = "k long, comp long, n long, s long"
+    few = texts.join(bounded_broadcast(open_, BROADCAST_ROWS), "k").select("k", "comp", "text")
+    sets = materialise(few.mapInArrow(_shingle_batches, schema), "nd-shingles")
+    shared = sets.groupBy("s").agg(F.count(F.lit(1)).alias("c"), F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("s", "c")
+    shared = bounded_broadcast(materialise(shared, "nd-common"), BROADCAST_ROWS)
+    least = lambda share: F.ceil(share - F.lit(1e-9))
+    # a window holds the shingles of one text
+    own = Window.partitionBy("k")
+    at = F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("c", "s"))
+    first = sets.join(shared, "s").withColumn("at", at).where(F.col("at") <= F.col("n") - least(similarity * F.col("n")) + 1)
+    first = materialise(first.select("k", "comp", "n", "s", "at"), "nd-prefix")
+    both = 2 * similarity / (1 + similarity)
+    x = first.where(F.col("at") <= F.col("n") - least(both * F.col("n")) + 1).alias("x")
+    need = least(both / 2 * (F.col("x.n") + F.col("y.n")))
+    meet = (
+        (F.col("x.s") == F.col("y.s"))
+        & (F.struct("x.n", "x.k") < F.struct("y.n", "y.k"))
+        & (F.col("x.comp") != F.col("y.comp"))
+        & (F.least(F.col("x.n") - F.col("x.at"), F.col("y.n") - F.col("y.at")) + 1 >= need)
+    )
+    return x.join(first.alias("y"), meet).select(F.least("x.k", "y.k").alias("lo"), F.greatest("x.k", "y.k").alias("hi")).distinct()
+
+
 def near_duplicates(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS
 ) -> DataFrame:
@@ -183,8 +222,9 @@ def near_duplicates(
 
     Every bucket links its members to one centre, which then leaves the bucket; verified links
     contract to components, and buckets that still hold several components get another centre,
-    until a round adds no link. A round makes at most one pair per bucket member, whatever the
-    size of the bucket, and small buckets are compared in full.
+    until a round of changing centres adds no link. A round makes at most one pair per bucket member, whatever the
+    size of the bucket. The texts of buckets that are then still open are joined exactly, by their rarest shingles, so every
+    pair that shares a bucket and reaches the threshold is in one class.
     """
     spark = docs.sparkSession
     base = located(text_batches(docs)).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), text_of(text_col).alias("text"))
@@ -255,17 +295,29 @@ def near_duplicates(
             pairs = pairs.join(tried, ["lo", "hi"], "left_anti")
         pairs = materialise(pairs, "nd-pairs")
         found = materialise(_verified(pairs.select("a", "b"), texts, similarity), "nd-links")
-        if found.isEmpty():
-            break
-        links = found if links is None else links.unionByName(found)
+        stalled = found.isEmpty()
+        if not stalled:
+            links = found if links is None else links.unionByName(found)
+            label = components(links)
         tried = pairs.select("lo", "hi") if tried is None else tried.unionByName(pairs.select("lo", "hi"))
-        label = components(links)
         # a centre has met every other component of its bucket and leaves it; a bucket of one component is done
-        left = placed.where("k <> c.k").select("key", "k", "p", "n", "met")
-        left = left.join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", "met", F.coalesce("root", "k").alias("comp"))
+        left = placed.where("k <> c.k").select("key", "k", "p", "n", "met", "comp")
+        if not stalled:
+            left = left.drop("comp").join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", "met", F.coalesce("root", "k").alias("comp"))
         left = materialise(left, "nd-left")
         open_ = left.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
         state = materialise(left.join(bounded_broadcast(materialise(open_, "nd-open"), BROADCAST_ROWS), "key"), "nd-state")
+        # the fixed centres of the first round may all miss, so it alone ends nothing
+        if state.isEmpty() or (stalled and turn > 1):
+            break
+
+    still = materialise(state.select("k", "comp").distinct(), "nd-still")
+    if not still.isEmpty():
+        pairs = materialise(_close_pairs(still, texts, similarity).join(tried, ["lo", "hi"], "left_anti"), "nd-close")
+        found = materialise(_verified(pairs.select(F.col("lo").alias("a"), F.col("hi").alias("b")), texts, similarity), "nd-links")
+        if not found.isEmpty():
+            links = found if links is None else links.unionByName(found)
+            label = components(links)
 
     if links is None:
         classes = copies.select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), F.lit(0).cast("long").alias("n_links"))

@@ -102,6 +102,22 @@ def test_near_duplicates_against_brute_force(spark):
     assert probminhash.drop_near_copies(docs).count() == len({root(a) for a in range(len(rows))})
 
 
+def test_near_duplicates_among_many_cousins(spark):
+    # a core of 200 shingles and a tail of 26: cousins have similarity 0.794, pairs with two common words after the core 0.808
+    rng = random.Random(8)
+    core = [f"c{rng.randrange(10**9)}" for _ in range(204)]
+    texts = [core + [f"t{i}x{j}" for j in range(26)] for i in range(600)]
+    pairs = [(i, i + 300) for i in range(0, 240, 20)]
+    for a, b in pairs:
+        texts[b][204:206] = texts[a][204:206]
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    sets = [frozenset(tuple(t[a : a + 5]) for a in range(len(t) - 4)) for t in texts]
+    close = {(a, b) for b in range(len(sets)) for a in range(b) if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b])}
+    assert close == set(pairs)
+    head = {i: i for i in range(len(texts))} | {b: a for a, b in close}
+    assert {r.doc_id: r.class_id for r in probminhash.near_duplicates(docs).collect()} == head
+
+
 def test_near_duplicates_odd_rows(spark):
     df = odd_docs(spark)
     out = probminhash.near_duplicates(df)
