@@ -1,9 +1,10 @@
 """Quotation linking: from messages with nested quotes to reply-ordered conversations without them.
 
 Lines that begin with one or more ``>`` are quoted; the number of marks is their level. Runs of
-lines of one level are passages. A passage is normalised, hashed and joined to the earliest message of
-its conversation that says the same in its own words (as a whole, a paragraph or a line), the
-texts being compared on a hit. A message replies to the original of its longest level-1 passage. Only functions of Spark
+lines of one level are passages. A passage is cut into units (the whole, paragraphs, lines, sentences), which are
+normalised, hashed and joined to the earliest message of its conversation that has the same unit in its own
+words, the texts being compared on a hit. The longest unit found links the passage, so excerpts are linked
+too; less than a line or a sentence is not. A message replies to the original of its longest level-1 link. Only functions of Spark
 SQL are used; the originals are reduced to one row per hash before the join, so no common passage makes pairs.
 """
 
@@ -24,9 +25,9 @@ def normal(text: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", " "))
 
 
-def _units(own: Column) -> Column:
-    """The whole of a message's own text, its paragraphs and its lines, normalised, each once."""
-    parts = F.concat(F.array(own), F.split(own, r"\n[ \t]*\n"), F.split(own, r"\n"))
+def _units(said: Column) -> Column:
+    """The whole of a message's own text or of a passage, its paragraphs, lines and sentences, normalised, each once."""
+    parts = F.concat(F.array(said), F.split(said, r"\n[ \t]*\n"), F.split(said, r"\n"), F.split(said, r"(?<=[.!?])\s+|\n[ \t]*\n"))
     return F.filter(F.array_distinct(F.transform(parts, normal)), lambda u: u != "")
 
 
@@ -52,24 +53,22 @@ def link_quotes(messages: DataFrame, conv_col: str = "conv_id", turn_col: str =
     intro = (F.col("level") == 0) & (F.col("next") > 0) & F.col("line").rlike(_INTRO)
     joined = lambda col, sep: F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("pos", col))), lambda x: x[col]), sep)
     # a message's lines meet again: a group is never larger than one input row
-    runs = lines.where(~intro).groupBy(*key, "run", "level").agg(joined("said", " ").alias("said"), joined("line", "\n").alias("lines"))
+    runs = lines.where(~intro).groupBy(*key, "run", "level").agg(joined("said", "\n").alias("said"), joined("line", "\n").alias("lines"))
     runs = materialise(runs, "ql-runs")
     own = runs.groupBy(*key).agg(
         F.array_join(F.transform(F.array_sort(F.collect_list(F.when(F.col("level") == 0, F.struct("run", "lines")))), lambda x: x["lines"]), "\n").alias("own"),
         F.count(F.when(F.col("level") > 0, 1)).alias("n_quotes"),
         F.max("level").alias("max_level"),
     ).withColumn("own", F.regexp_replace("own", r"^\s+|\s+$", ""))
-    passages = runs.where("level > 0 and conv is not null and turn is not null").select(*key, "level", normal(F.col("said")).alias("unit")).where("unit <> ''")
+    passages = runs.where("level > 0 and conv is not null and turn is not null").select(*key, "run", "level", F.explode(_units(F.col("said"))).alias("unit"))
     convs = passages.select("conv").distinct()
     plain = base.where(~has).join(convs, "conv", "left_semi").select("conv", "turn", F.col("text").alias("own"))
     said = plain.unionByName(own.select("conv", "turn", "own")).where("conv is not null and turn is not null")
     originals = said.select("conv", "turn", F.explode(_units(F.col("own"))).alias("unit"))
     originals = originals.groupBy("conv", F.xxhash64("unit").alias("h"), "unit").agg(F.min("turn").alias("from_turn"))
     found = passages.withColumn("h", F.xxhash64("unit")).join(originals, ["conv", "h", "unit"]).where("from_turn < turn")
-    links = found.groupBy(*key).agg(
-        F.count(F.lit(1)).alias("n_linked"),
-        F.max(F.when(F.col("level") == 1, F.struct(F.length("unit").alias("n"), "from_turn")))["from_turn"].alias("parent_turn"),
-    )
+    best = found.groupBy(*key, "run", "level").agg(F.max(F.struct(F.length("unit").alias("n"), "from_turn")).alias("best"))
+    links = best.groupBy(*key).agg(F.count(F.lit(1)).alias("n_linked"), F.max(F.when(F.col("level") == 1, F.col("best")))["from_turn"].alias("parent_turn"))
     info = materialise(own.join(links, key, "left"), "ql-info")
 
     step = info.where("parent_turn is not null").groupBy("conv", "turn").agg(F.min("parent_turn").alias("up"))

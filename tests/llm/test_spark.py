@@ -289,6 +289,22 @@ def test_quotes(spark):
     assert quotes.link_quotes(none_of(df)).count() == 0
 
 
+def test_excerpts_are_linked(spark):
+    rows = [
+        (1, 0, "First paragraph here.\n\nSecond one, in two\nlines of text.\n\nThird paragraph ends it."),
+        (1, 1, "Line one of many\nline two of many\nline three of many\nline four of many"),
+        (1, 2, "> Second one, in two\n> lines of text.\n>\n> Third paragraph ends it.\nTwo of three paragraphs."),
+        (1, 3, "> line two of many\n> line three of many\nTwo of four lines."),
+        (1, 4, "A long line says this. It goes on with that! Does it end?"),
+        (1, 5, "> It goes on\n> with that!\nOne sentence, wrapped anew."),
+        (1, 6, "> First paragraph here.\n> [...]\n> Third paragraph ends it.\n>> line four of many\nCut in the middle."),
+        (1, 7, "> First words of no message\n>\n> and others\nNothing to link."),
+    ]
+    df = spark.createDataFrame([(c, t, "user", x) for c, t, x in rows], "conv_id long, turn long, role string, text string")
+    got = {r.turn: (r.n_quotes, r.n_linked, r.parent_turn, r.root_turn) for r in quotes.link_quotes(df).collect()}
+    assert {t: got[t] for t in (2, 3, 5, 6, 7)} == {2: (1, 1, 0, 0), 3: (1, 1, 1, 1), 5: (1, 1, 4, 4), 6: (2, 2, 0, 0), 7: (1, 0, None, 7)}
+
+
 def test_every_operator_has_a_query():
     assert sorted(int(n[2:].split("_")[0]) for n in QUERIES) == list(range(1, 11))
 
