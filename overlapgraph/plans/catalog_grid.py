@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..operators import assembly as asm
 from ..operators import basis, geometry, graph, linalg, meshes, metrics, partition, solve, subdomain, weights
 from ..operators.meshes import MESH_STRIDE, MeshSpec
+from ..sources.tables import store
 from . import fixtures
 
 G, L = fixtures.grid(5, 3, 4, 0.4)
@@ -655,6 +656,18 @@ def solve_mms(spark, sf_dir):
     return error_of(spark, G, L, s.x).withColumn("iterations", F.lit(s.iterations)).withColumn("residual", F.lit(s.residual))
 
 
+@query()
+def solve_mms_parts(spark, sf_dir):
+    """The overlaid system by the distributed loop on rows that four parts own; CG and Jacobi of the local engine beside it."""
+    k, f = (store(t, "mms-parts") for t in system(spark, GS, LS))
+    part = store(partition.partition_hash(f.select("v"), 4), "mms-parts")
+    comm = store(subdomain.comm_plan(subdomain.halo(k.where("i <= j").select("i", "j"), part)), "mms-parts")
+    runs = [("bicgstab", "parts", solve.bicgstab(linalg.owned_rows(k, part), f, part, comm))]
+    runs += [(m, "local", solve.solve_local(spark, k, f, method=m)) for m in ("cg", "jacobi")]
+    out = [error_of(spark, GS, LS, s.x).select(F.lit(m).alias("method"), F.lit(e).alias("engine"), "error", F.lit(s.iterations).alias("iterations"), F.lit(s.residual).alias("residual")) for m, e, s in runs]
+    return reduce(DataFrame.unionByName, out)
+
+
 def _model(spark) -> DataFrame:
     """Modelled costs of parts by owned rows on the fixed hash partition, for uniform reading in SQL."""
     comp = _components(spark)

@@ -149,6 +149,18 @@ def test_distributed_solver_on_a_line(spark):
     assert s.residual <= 1e-9 and all(r.x == pytest.approx(want[r.v], abs=1e-7) for r in s.x.collect())
 
 
+def test_distributed_solver_on_the_overlay(spark, sf, monkeypatch):
+    seen = []
+    whole = solve.bicgstab
+    monkeypatch.setattr(solve, "bicgstab", lambda kp, f, part, comm, **kw: seen.append((part.select("k").distinct().count(), comm.count())) or whole(kp, f, part, comm, **kw))
+    got = {r.method: r for r in catalog_grid.QUERIES["solve_mms_parts"](spark, sf).collect()}
+    pair = catalog_grid.GS, catalog_grid.LS
+    want = error_of(spark, *pair, solve.solve_local(spark, *system(spark, *pair), method="dense").x).first()["error"]
+    assert sorted(got) == ["bicgstab", "cg", "jacobi"] and got["bicgstab"].engine == "parts"
+    assert len(seen) == 1 and seen[0][0] == 4 and seen[0][1] > 0
+    assert all(r.residual < 1e-8 and r.error == pytest.approx(want, rel=1e-6) for r in got.values())
+
+
 @pytest.mark.parametrize("args,error,eps_g,eps_l", [((5, 3, 4, 0.4), 6.317515e-3, 4.928664e-6, 6.021058e-8), ((5, 2, 4, 0.4), 2.807269e-2, 9.442466e-5, 4.084866e-6)])
 def test_golden_errors(spark, args, error, eps_g, eps_l):
     g, local = box_pair(*args)
