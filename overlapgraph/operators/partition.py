@@ -252,21 +252,36 @@ def _grow(n: int, i: np.ndarray, j: np.ndarray, c: np.ndarray, w: np.ndarray, n_
     return k
 
 
-def partition_multilevel(edges: DataFrame, weight: DataFrame, n_dom: int, eps: float = 0.03, seed: int = 1, coarse: int = COARSE, levels: int = 12) -> DataFrame:
+#: Vertices that share a heaviest neighbour are paired in groups of about this many.
+SIBLINGS = 1_000
+
+
+def _siblings(v: DataFrame, both: DataFrame, pairs: DataFrame, tie: Column, limit: float) -> DataFrame:
+    """Pairs (v, to) of unmatched vertices with one heaviest neighbour (or none at all), light ones first."""
+    hub = both.groupBy("i").agg(F.max_by("j", F.struct("c", tie.alias("t"))).alias("hub")).withColumnRenamed("i", "v")
+    met = pairs.select(F.explode(F.array("v", "to")).alias("v"))
+    rest = store(v.join(met, "v", "left_anti").join(hub, "v", "left").select("v", "w", F.coalesce("hub", F.lit(-1)).alias("hub")), "ml-rest")
+    size = rest.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / SIBLINGS).alias("n"))
+    rest = rest.join(size, "hub").withColumn("salt", F.pmod(F.xxhash64("v"), "n"))
+    at = F.row_number().over(Window.partitionBy("hub", "salt").orderBy("w", "v"))
+    two = rest.withColumn("at", F.floor((at - 1) / 2)).groupBy("hub", "salt", "at").agg(F.max("v").alias("v"), F.min("v").alias("to"), F.sum("w").alias("w"))
+    return two.where((F.col("v") > F.col("to")) & (F.col("w") <= limit)).select("v", "to")
+
+
+def partition_multilevel(edges: DataFrame, weight: DataFrame, n_dom: int, eps: float = 0.03, seed: int = 1, coarse: int = COARSE) -> DataFrame:
     """Match heavy edges and contract until the graph is small, split it, project back and refine.
 
-    A vertex proposes to its heaviest neighbour (ties by a hash of the pair); mutual proposals merge. Only the
-    coarsest graph, of at most ``coarse`` vertices, is seen by the driver; if matching stalls above that size,
-    the weighted curve of hashed ids takes the place of the split, and refinement does the rest.
+    A vertex proposes to its heaviest neighbour (ties by a hash of the pair); mutual proposals merge. Where
+    they merge few, as around a hub, the rest merges in pairs that share their heaviest neighbour. Rounds go on until
+    the graph has at most ``coarse`` vertices, which the driver sees. Only if no two vertices may merge any
+    more (each pair weighs over a quarter of a part) does the weighted curve of hashed ids take the place of the split.
     """
     spark = edges.sparkSession
     v = store(weight.select("v", "w"), "ml-v")
     e = store(edges.where("i <> j").groupBy("i", "j").agg(F.count(F.lit(1)).cast("double").alias("c")), "ml-e")
     limit = (v.agg(F.sum("w")).first()[0] or 0.0) / n_dom / 4
     maps, n = [], v.count()
-    for _ in range(levels):
-        if n <= max(coarse, 4 * n_dom):
-            break
+    while n > max(coarse, 4 * n_dom):
         both = e.unionByName(e.select(F.col("j").alias("i"), F.col("i").alias("j"), "c"))
         wi, wj = v.select(F.col("v").alias("i"), F.col("w").alias("wi")), v.select(F.col("v").alias("j"), F.col("w").alias("wj"))
         fit = both.join(wi, "i").join(wj, "j").where(F.col("wi") + F.col("wj") <= limit)
@@ -274,14 +289,15 @@ def partition_multilevel(edges: DataFrame, weight: DataFrame, n_dom: int, eps: f
         want = store(fit.groupBy("i").agg(F.max_by("j", F.struct("c", tie.alias("t"))).alias("j")), "ml-want")
         pairs = want.alias("a").join(want.alias("b"), (F.col("a.i") == F.col("b.j")) & (F.col("a.j") == F.col("b.i"))).where("a.i < a.j").select(F.col("a.j").alias("v"), F.col("a.i").alias("to"))
         pairs = store(pairs, "ml-pairs")
+        if 4 * pairs.count() < n:
+            pairs = store(pairs.unionByName(_siblings(v, both, pairs, tie, limit)), "ml-pairs")
         step = store(v.select("v").join(pairs, "v", "left").select("v", F.coalesce("to", "v").alias("to")), "ml-map")
         maps.append(step)
         v = store(v.join(step, "v").groupBy(F.col("to").alias("v")).agg(F.sum("w").alias("w")), "ml-v")
         mi, mj = step.select(F.col("v").alias("i"), F.col("to").alias("ti")), step.select(F.col("v").alias("j"), F.col("to").alias("tj"))
         e = store(e.join(mi, "i").join(mj, "j").where("ti <> tj").groupBy(F.least("ti", "tj").alias("i"), F.greatest("ti", "tj").alias("j")).agg(F.sum("c").alias("c")), "ml-e")
         m = v.count()
-        if m > 0.95 * n:
-            n = m
+        if m == n:
             break
         n = m
     if n <= max(coarse, 4 * n_dom):

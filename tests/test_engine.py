@@ -200,6 +200,17 @@ def test_multilevel_beats_scattering(spark, sf):
     assert p.count() == 400
 
 
+def test_multilevel_reaches_the_driver_size_on_stars(spark, monkeypatch):
+    seen, grow = [], partition._grow
+    monkeypatch.setattr(partition, "_grow", lambda n, *a: seen.append(n) or grow(n, *a))
+    leaves = [(s, 8 + s * 300 + i) for s in range(8) for i in range(300)]
+    e = spark.createDataFrame(leaves + [(s, s + 1) for s in range(7)], "i long, j long")
+    w = spark.createDataFrame([(v, 400.0 if v < 8 else 1.0) for v in range(2408)], "v long, w double")
+    part = partition.partition_multilevel(e, w, 4, coarse=100)
+    assert len(seen) == 1 and seen[0] <= 100 and part.count() == 2408
+    assert partition.cut_size(e, part).first()["cut"] < 0.5 * len(leaves)
+
+
 def test_per_mesh_partition_misses_edges(spark):
     e, p = graph.graph_overlay(spark, G, L), two_parts(spark, G, L)
     seen = partition.cut_size(graph.graph_without_coupling(e), p).first().cut
