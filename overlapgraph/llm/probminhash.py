@@ -216,7 +216,7 @@ def near_duplicates(
 
     ``class_id`` is the smallest id in the class (connected component of verified links and exact
     copies); ``kept`` marks one row of each class; ``n_links`` counts the verified links of the
-    row's text to other texts. Null text counts as empty, all texts without words are copies of each other; a null
+    row's text to other texts; only tested pairs count, and texts already in one class are not tested. Null text counts as empty, all texts without words are copies of each other; a null
     id sorts last, and a class with null ids alone has a null class_id. Repeated rows are
     copies. Other columns are ignored, so their names cannot clash.
 
