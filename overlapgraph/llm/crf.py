@@ -60,16 +60,19 @@ def train(sequences: list[list[list[str]]], labels: list[list[int]], k: int = 2,
     return ChainModel({n: tuple(float(x) for x in w[i]) for n, i in names.items()}, t.tolist())
 
 
-def viterbi(positions: list[list[str]], model: ChainModel) -> list[int]:
-    """The best label sequence; ties go to the smaller label. Features never seen count nothing."""
+def viterbi(positions: list[list[str]], model: ChainModel, more: list[tuple] | None = None) -> list[int]:
+    """The best label sequence; ties go to the smaller label. Features never seen count nothing.
+
+    ``more`` holds, for each position, sums of weights of further features.
+    """
     if not positions:
         return []
     k, trans, weights = model.labels, model.transitions, model.weights
     best: list[float] = []
     links: list[list[int]] = []
     labels = range(k)
-    for feats in positions:
-        emit = [0.0] * k
+    for at, feats in enumerate(positions):
+        emit = list(more[at]) if more else [0.0] * k
         for f in feats:
             got = weights.get(f)
             if got is not None:

@@ -1,7 +1,7 @@
 """Main text of web pages by a linear-chain conditional random field over DOM leaf blocks.
 
 A page is cut into leaf blocks, the runs of text between block-level tags. A block's features
-are the tags, classes, ids and roles of its ancestors, its own length, links, signs and place, and
+are the tags, classes, ids and roles of its ancestors, its own length, links and signs, and
 a few words; neighbouring blocks are joined by learned transitions. The field is trained on
 labelled pages of many layouts that this module composes itself, and decoded by Viterbi.
 """
@@ -46,9 +46,70 @@ _WORD = re.compile(r"[A-Za-z]+")
 _NAME = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
 
 
+_HIDDEN = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*hidden)\b", re.I)
+#: An end tag of another element does not close these (fixed values).
+_WALLS = ("article", "body", "main", "table")
+
+
+class Node:
+    """An element as its blocks see it: equal paths of tags and names are one node, and share its sums.
+
+    ``new`` holds the features that no ancestor has; ``emit`` is the sum of the weights of all features of the path.
+    """
+
+    __slots__ = ("parent", "tag", "leaf", "new", "emit", "kids")
+
+    def __init__(self, parent: "Node | None", tag: str, new: tuple, emit: tuple):
+        self.parent, self.tag, self.new, self.emit, self.kids = parent, tag, new, emit, {}
+        self.leaf = parent.leaf if parent is not None and tag in INLINE else tag
+
+
+class Stack:
+    """The open elements; every question about them is answered without walking down."""
+
+    def __init__(self, model: crf.ChainModel | None):
+        self.weights, self.zero = (model.weights, (0.0,) * model.labels) if model else ({}, ())
+        self.top = Node(None, "-", (), self.zero)
+        self.open: list[tuple[Node, str, list[str]]] = []  # of (node below, tag, features)
+        self.at: dict[str, list[int]] = {}
+        self.active: dict[str, int] = {}
+
+    def push(self, tag: str, names: frozenset) -> None:
+        feats = ([] if tag in INLINE else ["t:" + tag]) + ["n:" + n for n in names]
+        new = []
+        for f in feats:
+            n = self.active.get(f, 0)
+            if not n:
+                new.append(f)
+            self.active[f] = n + 1
+        self.open.append((self.top, tag, feats))
+        self.at.setdefault(tag, []).append(len(self.open) - 1)
+        node = self.top.kids.get((tag, names))
+        if node is None:
+            emit = self.top.emit
+            for f in new:
+                got = self.weights.get(f)
+                if got is not None:
+                    emit = tuple(x + y for x, y in zip(emit, got, strict=True))
+            node = self.top.kids[tag, names] = Node(self.top, tag, tuple(new), emit)
+        self.top = node
+
+    def last(self, tags) -> int:
+        """The place of the innermost open element of these tags, or -1."""
+        return max((self.at[t][-1] for t in tags if self.at.get(t)), default=-1)
+
+    def cut(self, place: int) -> None:
+        """Close the element at a place and all that are inside it."""
+        while len(self.open) > place:
+            self.top, tag, feats = self.open.pop()
+            self.at[tag].pop()
+            for f in feats:
+                self.active[f] -= 1
+
+
 @dataclass
 class Block:
-    path: tuple  # of (tag, names)
+    node: Node
     parts: list = field(default_factory=list)
     linked: int = 0
     text: str = ""
@@ -62,23 +123,29 @@ def _names(attrs: str) -> frozenset:
         value = m["a"] or m["b"] or m["c"] or ""
         if key in ("class", "id", "role", "itemprop", "aria-label"):
             out |= {w.lower() for w in _NAME.findall(value)}
-        elif key == "hidden" or key == "aria-hidden" and value == "true" or key == "style" and "none" in value:
+        elif key == "hidden" or key == "aria-hidden" and value == "true" or key == "style" and _HIDDEN.search(value):
             out.add("hidden!")
     return frozenset(out)
 
 
-def leaf_blocks(page: str) -> list[Block]:
+@lru_cache(maxsize=64)
+def _ending(tag: str) -> re.Pattern:
+    return re.compile("</head|<body" if tag == "head" else "</" + tag, re.I)
+
+
+def leaf_blocks(page: str, model: crf.ChainModel | None = None) -> list[Block]:
     """The page's blocks in order, with text whose blanks are squeezed; blocks without text are left out.
 
     Unclosed, misnested and unknown tags are taken as browsers take them in the simple cases;
-    text inside scripts, styles, titles and controls is no text of the page.
+    text inside scripts, styles, titles and controls is no text of the page. Time and memory grow with the
+    length of the page, however deep its elements are nested.
     """
     out: list[Block] = []
-    stack: list[tuple] = []
+    stack = Stack(model)
     block: Block | None = None
     links = 0
     at, size = 0, len(page)
-    low = None
+    absent: set[str] = set()
 
     def close() -> None:
         nonlocal block
@@ -88,6 +155,16 @@ def leaf_blocks(page: str) -> list[Block]:
                 out.append(block)
             block = None
 
+    def end_of(tag: str) -> int:
+        """Where the element's end begins, or -1; an end that was not found once is not sought again."""
+        if tag in absent:
+            return -1
+        found = _ending(tag).search(page, at)
+        if found is None:
+            absent.add(tag)
+            return -1
+        return found.start()
+
     while at < size:
         m = _TOKEN.match(page, at)
         at = m.end()
@@ -99,7 +176,7 @@ def leaf_blocks(page: str) -> list[Block]:
             if block is None:
                 if not piece.strip():
                     continue
-                block = Block(tuple(stack))
+                block = Block(stack.top)
             block.parts.append(piece)
             if links:
                 block.linked += len(piece)
@@ -110,24 +187,21 @@ def leaf_blocks(page: str) -> list[Block]:
                 links = max(0, links - 1)
             if tag not in INLINE:
                 close()
-            for i in range(len(stack) - 1, -1, -1):
-                if stack[i][0] == tag:
-                    if tag in INLINE or not any(stack[j][0] in ("article", "body", "main", "table") for j in range(i + 1, len(stack))) or tag in ("article", "body", "main", "html", "table"):
-                        del stack[i:]
-                    break
+            place = stack.last((tag,))
+            if place >= 0 and (tag in INLINE or tag in _WALLS or tag == "html" or stack.last(_WALLS) <= place):
+                stack.cut(place)
             continue
         if tag in RAW:
             close()
-            if low is None:
-                low = page.lower()
             if tag == "head":
                 # the head ends at its end tag or where the body starts
-                ends = [x for x in (low.find("</head", at), low.find("<body", at)) if x >= 0]
-                at = min(ends) if ends else at
-                continue
-            if not m["attrs"].endswith("/") or tag in ("script", "style", "title", "textarea"):
-                end = low.find("</" + tag, at)
-                at = size if end < 0 and tag in ("script", "style", "textarea", "title") else (at if end < 0 else page.find(">", end) + 1 or size)
+                at = max(at, end_of(tag))
+            elif not m["attrs"].endswith("/") or tag in ("script", "style", "title", "textarea"):
+                end = end_of(tag)
+                if end >= 0:
+                    at = page.find(">", end) + 1 or size
+                elif tag in ("script", "style", "textarea", "title"):
+                    at = size
             continue
         if tag == "br":
             if block is not None:
@@ -136,24 +210,25 @@ def leaf_blocks(page: str) -> list[Block]:
         if tag not in INLINE:
             close()
             if tag in CLOSES_P:
-                for i in range(len(stack) - 1, -1, -1):
-                    if stack[i][0] == "p":
-                        del stack[i:]
-                        break
-                    if stack[i][0] not in INLINE:
+                while stack.open and stack.open[-1][1] in INLINE and stack.last(("p",)) >= 0:
+                    # an open paragraph ends together with the inline elements in it
+                    below = len(stack.open) - 1
+                    while below and stack.open[below - 1][1] in INLINE:
+                        below -= 1
+                    if not below or stack.open[below - 1][1] != "p":
                         break
+                    stack.cut(below - 1)
+                if stack.open and stack.open[-1][1] == "p":
+                    stack.cut(len(stack.open) - 1)
             if tag in SIBLINGS:
-                for i in range(len(stack) - 1, -1, -1):
-                    if stack[i][0] in SIBLINGS[tag]:
-                        del stack[i:]
-                        break
-                    if stack[i][0] in ("ul", "ol", "dl", "table", "select", "menu"):
-                        break
+                place = stack.last(SIBLINGS[tag])
+                if place > stack.last(("ul", "ol", "dl", "table", "select", "menu")):
+                    stack.cut(place)
         if tag in VOID:
             continue
         if tag == "a":
             links += 1
-        stack.append((tag, _names(m["attrs"]) if m["attrs"] else frozenset()))
+        stack.push(tag, _names(m["attrs"]) if m["attrs"] else frozenset())
     close()
     return out
 
@@ -162,18 +237,11 @@ def leaf_blocks(page: str) -> list[Block]:
 CUES = frozenset("copyright cookie cookies subscribe newsletter share comment comments reply advertisement sponsored related login sign privacy terms rights reserved posted menu search".split())
 
 
-def block_features(blocks: list[Block]) -> list[list[str]]:
+def own_features(blocks: list[Block]) -> list[list[str]]:
+    """What each block shows by itself and beside its predecessor, without its ancestors."""
     out = []
     for i, b in enumerate(blocks):
-        f = ["bias"]
-        path = b.path
-        tags, names = {p[0] for p in path}, set()
-        for p in path:
-            names |= p[1]
-        tags -= INLINE
-        f += ["t:" + t for t in tags]
-        f += ["n:" + t for t in names]
-        f.append("leaf:" + next((p[0] for p in reversed(path) if p[0] not in INLINE), "-"))
+        f = ["bias", "leaf:" + b.node.leaf]
         size = len(b.text)
         share = min(b.linked, size) / size
         f.append("size:" + ("0" if size < 20 else "1" if size < 60 else "2" if size < 150 else "3" if size < 400 else "4"))
@@ -183,11 +251,22 @@ def block_features(blocks: list[Block]) -> list[list[str]]:
             f.append("sign")
         f += ["w:" + w for w in {w.lower() for w in _WORD.findall(b.text[:200])[:12]} & CUES]
         if i:
-            f.append("same:" + str(blocks[i - 1].path == path))
+            f.append("same:" + str(blocks[i - 1].node is b.node))
         out.append(f)
     return out
 
 
+def block_features(blocks: list[Block]) -> list[list[str]]:
+    """All features, those of the ancestors spelt out: for training, on pages that are not deep."""
+    out = own_features(blocks)
+    for b, f in zip(blocks, out, strict=True):
+        node = b.node
+        while node is not None:
+            f += node.new
+            node = node.parent
+    return out
+
+
 # ---- labelled pages -------------------------------------------------------------------------
 
 
@@ -227,18 +306,31 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
         o, c = rng.choice([wrap("n", ["notice", "cookie-notice", "cookie", "alert", "consent", "gdpr", "popup", "modal", "disclaimer", "paywall"]), ('<div role="alert">', "</div>"), ('<div role="dialog">', "</div>"), wrap("n", ["notice", "cookie"], "section")])
         put(o, [f"<p>{phrase(5, 25)}"], 0, c)
 
+    def titled(o: str) -> None:
+        # a box that is no article may begin with a heading
+        if rng.random() < 0.4:
+            put(o, [f"<h3>{phrase(1, 5, False)}</h3>" if rng.random() < 0.6 else f"<h2>{phrase(1, 5, False)}</h2>"], 0, "")
+        else:
+            out.append(o)
+
     def sidebar() -> None:
         o, c = rng.choice([("<aside>", "</aside>"), wrap("s", ["sidebar", "side", "widget", "related", "recommended", "trending", "popular", "tags", "share", "social", "author-bio", "newsletter", "subscribe"])])
         items = [f'<li><a href="#">{phrase(2, 8, False)}</a></li>' for _ in range(rng.randint(1, 5))] if rng.random() < 0.6 else [f"<p>{phrase(4, 30)}</p>" for _ in range(rng.randint(1, 3))]
-        put(o, items, 0, c)
+        titled(o)
+        put("", items, 0, c)
 
     def form() -> None:
         o, c = ("<form>", "</form>") if rng.random() < 0.6 else ('<form class="search" action="/s">', "</form>")
         put(o, [f"<div><label>{phrase(1, 6, False)}</label><input name=q></div>" for _ in range(rng.randint(1, 3))], 0, c)
 
     def comments() -> None:
-        o, c = rng.choice([wrap("c", ["comments", "comment-list", "disqus", "replies", "responses", "discussion", "user-comments"]), wrap("c", ["comments", "comment"], "section"), wrap("c", ["comments"], "ol")])
-        put(o, [rng.choice(['<div class="comment"><p>', "<p>", '<article class="comment"><p>', "<li>"]) + phrase(4, 60) + "</p></div>" for _ in range(rng.randint(1, 5))], 0, c)
+        o, c = rng.choice([wrap("c", ["comments", "comment-list", "disqus", "replies", "responses", "discussion", "user-comments", "comments-area", "comment-section"]), wrap("c", ["comments", "comment"], "section"), wrap("c", ["comments", "comments-area"], "section"), wrap("c", ["comments"], "ol")])
+        titled(o)
+        put("", [rng.choice(['<div class="comment"><p>', "<p>", '<article class="comment"><p>', "<li>"]) + phrase(4, 60) + "</p></div>" for _ in range(rng.randint(1, 5))], 0, c)
+
+    def hidden() -> None:
+        o = rng.choice(['<div style="display:none">', '<div class="x" style="color:red; display: none;">', "<div hidden>", '<div aria-hidden="true">', '<p style="visibility:hidden">'])
+        put(o, [phrase(2, 30)], 0, "</p>" if o.startswith("<p") else "</div>")
 
     def foot() -> None:
         o, c = rng.choice([("<footer>", "</footer>"), wrap("f", ["footer", "site-footer", "bottom", "copyright", "legal", "colophon"])])
@@ -254,11 +346,19 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
             layers = []
         out.extend(o for o, _ in layers)
         if rng.random() < 0.85:
-            put("", [f"<h1>{phrase(1, 9, False)}</h1>"], 1, "")
+            box = rng.choice([("", ""), ("", ""), ("<header>", "</header>")]) if layers and layers[-1][0] == "<article>" else ("", "")
+            put(box[0], [f"<h1>{phrase(1, 9, False)}</h1>"], 1, box[1])
         for _ in range(rng.choice([1, 1, 2, 3, 5, 8, 12])):
             kind = rng.random()
-            if kind < 0.68:
-                put("<p>", [rng.choice(["", "<b>", "<em>"]) + phrase(1, 90) + rng.choice(["", "<br>" + phrase(1, 20)])], 1, rng.choice(["</p>", ""]))
+            if kind < 0.56:
+                put(rng.choice(["<p>", "<p>", "<p>", '<p style="text-decoration:none">', '<p style="margin:0;float:none">']), [rng.choice(["", "<b>", "<em>"]) + phrase(1, 90) + rng.choice(["", "<br>" + phrase(1, 20)])], 1, rng.choice(["</p>", ""]))
+            elif kind < 0.62:
+                # text straight in boxes, one inside the other or side by side
+                deep = rng.randint(0, 3)
+                put("<section>" + "<div>" * deep if rng.random() < 0.3 else "<div>" * deep, [f"<div>{phrase(1, 60)}</div>" for _ in range(rng.randint(1, 3))], 1, "</div>" * deep)
+            elif kind < 0.68:
+                put("", [f"<h{rng.randint(2, 4)}>{phrase(1, 7, False)}"], 1, "")
+                out.append("</h2>" if "<h2>" in out[-2] else "</h3>" if "<h3>" in out[-2] else "</h4>")
             elif kind < 0.74:
                 put("", [f"<h2>{phrase(1, 7, False)}</h2>"], 1, "")
             elif kind < 0.80:
@@ -274,7 +374,7 @@ def labelled_page(rng: random.Random) -> tuple[str, list[int]]:
             elif kind < 0.93:
                 put("<p>", [f'{phrase(3, 12)} <a href="/x">{phrase(1, 5, False)}</a> {phrase(2, 12)}'], 1, "</p>")
             else:
-                rng.choice([advert, sidebar, form, notice])()
+                rng.choice([advert, sidebar, form, notice, hidden])()
         if rng.random() < 0.2:
             comments()
         out.extend(c for _, c in reversed(layers))
@@ -306,8 +406,9 @@ def train(pages: int = 1_500, seed: int = 5) -> crf.ChainModel:
 
 def main_text(page: str, model: crf.ChainModel) -> str:
     """The main text of one page; empty if there is none."""
-    blocks = leaf_blocks(page)
-    return " ".join(b.text for b, y in zip(blocks, crf.viterbi(block_features(blocks), model), strict=True) if y == 1)
+    blocks = leaf_blocks(page, model)
+    labels = crf.viterbi(own_features(blocks), model, [b.node.emit for b in blocks])
+    return " ".join(b.text for b, y in zip(blocks, labels, strict=True) if y == 1)
 
 
 def extract(pages: DataFrame, model: crf.ChainModel, id_col: str = "page_id", html_col: str = "html", keep: tuple = ("url",)) -> DataFrame:
