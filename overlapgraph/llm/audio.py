@@ -156,9 +156,44 @@ def tensors(found: dict) -> Iterator[tuple[float, float, int, np.ndarray]]:
             yield at * p.hop / p.out_rate, ((at + n - 1) * p.hop + p.window) / p.out_rate, n, out
 
 
-def feature_text(found: dict) -> str:
-    mel = found["mel"]
-    return f"frames={len(mel)};mels={mel.shape[1]};segments={len(found['segments'])};voiced={sum(b - a for a, b in found['segments'])};mean_db={mel.mean(dtype=np.float64):.1f};max_db={mel.max():.1f}"
+@lru_cache
+def tensor_schema(p: AudioParams) -> pa.Schema:
+    kind = pa.fixed_shape_tensor(pa.float32(), [p.tensor_frames, p.mels])
+    return pa.schema([("start_s", pa.float64()), ("end_s", pa.float64()), ("frames", pa.int32()), ("values", kind)])
+
+
+def store_tensors(found: dict) -> bytes:
+    """The pieces of one file as an Arrow stream: time spans, and a column of tensors of one fixed shape.
+
+    Spark has no type of fixed shape, so the column travels as these bytes; any Arrow reader gets the tensors back.
+    """
+    p = found["params"]
+    rows = list(tensors(found))
+    flat = np.concatenate([t.reshape(-1) for *_, t in rows]) if rows else np.zeros(0, np.float32)
+    schema = tensor_schema(p)
+    values = pa.ExtensionArray.from_storage(schema.field("values").type, pa.FixedSizeListArray.from_arrays(pa.array(flat), p.tensor_frames * p.mels))
+    cols = [pa.array([r[0] for r in rows], pa.float64()), pa.array([r[1] for r in rows], pa.float64()), pa.array([r[2] for r in rows], pa.int32()), values]
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, schema) as out:
+        out.write_batch(pa.RecordBatch.from_arrays(cols, schema=schema))
+    return sink.getvalue().to_pybytes()
+
+
+def load_tensors(stored: bytes) -> pa.Table:
+    """Columns start_s, end_s, frames, and values of the fixed-shape tensor type."""
+    return pa.ipc.open_stream(stored).read_all()
+
+
+def feature_text(found: dict, stored: bytes) -> str:
+    """The file in one line, the voiced part of it read from the stored tensors."""
+    mel, table = found["mel"], load_tensors(stored)
+    line = f"frames={len(mel)};mels={mel.shape[1]};segments={len(found['segments'])};mean_db={mel.mean(dtype=np.float64):.1f};max_db={mel.max():.1f};tensors={len(table)}"
+    if not len(table):
+        return line
+    used = table["frames"].to_numpy()
+    values = table["values"].combine_chunks().to_numpy_ndarray()
+    voiced = values.sum(axis=(1, 2), dtype=np.float64).sum() / (used.sum() * values.shape[2])
+    return f"{line};voiced={used.sum()};voiced_db={voiced:.1f};from_s={table['start_s'][0].as_py():.4f};to_s={table['end_s'][-1].as_py():.4f}"
 
 
 def as_payload(text: str) -> tuple[bytes, int]:
@@ -181,14 +216,22 @@ def encode_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return text_batches(docs).select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, schema)
 
 
-def media_features(media: DataFrame, params: AudioParams = AudioParams(), with_tensors: bool = True) -> DataFrame:
+_FEATURES = (
+    ("payload_bytes", pa.int64(), T.LongType()), ("payload_sha256", pa.string(), T.StringType()), ("tail_crc32", pa.int64(), T.LongType()), ("media_bytes", pa.int64(), T.LongType()),
+    ("media_sha256", pa.string(), T.StringType()), ("feature", pa.string(), T.StringType()), ("n_tensors", pa.int64(), T.LongType()), ("tensors", pa.binary(), T.BinaryType()),
+)
+
+
+def media_features(media: DataFrame, params: AudioParams = AudioParams(), keep_tensors: bool = True) -> DataFrame:
     """Features of each row (id, n_bytes, media) of ``encode_media``.
 
     Adds payload_bytes, payload_sha256, tail_crc32 (of the samples read back), media_bytes,
-    media_sha256, feature and, if asked, pieces: an array of (start_s, end_s, frames, values) whose
-    values are a row-major tensor of one fixed shape. Equal media give equal rows; a file that
+    media_sha256, feature, n_tensors and tensors: an Arrow stream (``load_tensors``) with the time spans and the tensors, all of one
+    fixed shape, of the file's segments. The tensors are always made and stored, and the feature is read from them;
+    ``keep_tensors=False`` only leaves their column out of the result. Equal media give equal rows; a file that
     is not mono 8-bit WAV raises an error.
     """
+    out = _FEATURES if keep_tensors else _FEATURES[:-1]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in tv.pieces(batches):
@@ -196,30 +239,20 @@ def media_features(media: DataFrame, params: AudioParams = AudioParams(), with_t
             for blob in batch.column(2):
                 stored = blob.as_py()
                 found = analyse(stored, params)
-                raw = found["raw"]
-                row = [len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-ALIGN:]), len(stored), hashlib.sha256(stored).hexdigest(), feature_text(found)]
-                if with_tensors:
-                    row.append([{"start_s": s, "end_s": e, "frames": n, "values": t.reshape(-1)} for s, e, n, t in tensors(found)])
-                rows.append(row)
-            arrays = [pa.array([r[i] for r in rows], t) for i, t in enumerate(types)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *arrays], names)
-
-    piece = pa.struct([("start_s", pa.float64()), ("end_s", pa.float64()), ("frames", pa.int32()), ("values", pa.list_(pa.float32()))])
-    types = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), *([pa.list_(piece)] * with_tensors)]
-    schema = "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
-    schema += ", pieces array<struct<start_s double, end_s double, frames int, values array<float>>>" * with_tensors
-    names = [part.split()[0] for part in schema.split(", ")[:8]] + ["pieces"] * with_tensors
-    return text_batches(media).mapInArrow(run, schema)
+                raw, kept = found["raw"], store_tensors(found)
+                pieces = sum(-(-(b - a) // params.tensor_frames) for a, b in found["segments"])
+                rows.append((len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-ALIGN:]), len(stored), hashlib.sha256(stored).hexdigest(), feature_text(found, kept), pieces, kept if keep_tensors else None))
+            arrays = [pa.array([r[i] for r in rows], t) for i, (_, t, _) in enumerate(out)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *arrays], ["id", "n_bytes", *[n for n, _, _ in out]])
 
+    schema = T.StructType([T.StructField("id", T.LongType()), T.StructField("n_bytes", T.LongType()), *[T.StructField(n, t) for n, _, t in out]])
+    return text_batches(media).mapInArrow(run, schema)
 
-def tensor_column(values: pa.Array, params: AudioParams = AudioParams()) -> pa.ExtensionArray:
-    """Lists of values as an Arrow column of fixed-shape tensors (tensor_frames, mels)."""
-    size = params.tensor_frames * params.mels
-    flat = values.flatten() if len(values) else pa.array([], pa.float32())
-    kind = pa.fixed_shape_tensor(pa.float32(), [params.tensor_frames, params.mels])
-    return pa.ExtensionArray.from_storage(kind, pa.FixedSizeListArray.from_arrays(flat, size))
 
+def audio_features(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: AudioParams = AudioParams(), keep_tensors: bool = True) -> DataFrame:
+    """Store each text as sound, read it back and compute its features; one row per input row.
 
-def audio_features(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: AudioParams = AudioParams(), with_tensors: bool = False) -> DataFrame:
-    """Store each text as sound, read it back and compute its features; one row per input row."""
-    return media_features(encode_media(docs, id_col, text_col, params), params, with_tensors).withColumnRenamed("id", id_col)
+    Null counts as empty text, whose payload is 64 zero bytes. Repeated rows give equal rows; only the id and text are
+    read, so other names cannot clash. An empty table gives no row.
+    """
+    return media_features(encode_media(docs, id_col, text_col, params), params, keep_tensors).withColumnRenamed("id", id_col)

@@ -38,7 +38,22 @@ def test_shingles_and_jaccard_against_brute_force():
         for j, b in enumerate(texts):
             sa, sb = brute_shingles(a), brute_shingles(b)
             want = len(sa & sb) / max(len(sa | sb), 1)
-            assert probminhash.jaccard(h[doc == i], h[doc == j]) == pytest.approx(want)
+            # with equal weights the similarity is that of the sets
+            one = [(h[doc == z], np.ones((doc == z).sum())) for z in (i, j)]
+            assert probminhash.similarity_of(*one) == pytest.approx(want)
+
+
+def test_similarity_of_weighted_sets_against_its_definition():
+    rng = random.Random(3)
+    for _ in range(60):
+        a = {i: rng.choice([1.0, 1.0, 2.0, 5.5]) for i in rng.sample(range(40), rng.randint(1, 30))}
+        b = {i: a.get(i, 1.0) if rng.random() < 0.6 else rng.choice([1.0, 3.0]) for i in rng.sample(range(40), rng.randint(1, 30))}
+        packed = [(np.array(sorted(x), np.uint64), np.array([x[k] for k in sorted(x)])) for x in (a, b)]
+        want = probminhash.probability_jaccard(a, b)
+        assert probminhash.similarity_of(*packed) == pytest.approx(want)
+        share = [sum(x[k] for k in a.keys() & b.keys()) / sum(x.values()) for x in (a, b)]
+        # the bound that the exact join rests on
+        assert not want or 1 / want >= 1 / share[0] + 1 / share[1] - 1 - 1e-9
 
 
 def test_registers_estimate_probability_jaccard():
@@ -173,12 +188,49 @@ def test_segments_have_hysteresis():
     assert audio.segments(energy, p) == [(2, 5), (7, 8)]
 
 
-def test_tensor_column():
-    import pyarrow as pa
-
+def plain_audio(samples: bytes, p):
+    """Resampling by inserting zeros, frames one by one, sums of squares by a plain Fourier sum."""
+    x = (np.frombuffer(samples, np.uint8).astype(float) - 128) / 128
+    n = np.arange(p.up * p.taps) - (p.up * p.taps - 1) / 2
+    h = np.sinc(n / p.down) / p.down * np.hamming(len(n)) * p.up
+    wide = np.zeros(len(x) * p.up)
+    wide[:: p.up] = x
+    full = np.concatenate([np.convolve(wide, h), np.zeros(p.up * p.down + len(h))])
+    # the filter's delay: half its taps of a phase
+    y = full[p.up * (p.taps // 2) :][:: p.down][: -(-len(x) * p.up // p.down)]
+    if len(y) < p.window:
+        y = np.concatenate([y, np.zeros(p.window - len(y))])
+    wave = np.exp(-2j * np.pi * np.outer(np.arange(p.fft // 2 + 1), np.arange(p.window)) / p.fft)
+    mel, energy = [], []
+    bank = audio._mel_bank(p.mels, p.fft, p.out_rate)
+    for a in range(0, len(y) - p.window + 1, p.hop):
+        frame = y[a : a + p.window]
+        mel.append(10 * np.log10(bank @ np.abs(wave @ (frame * np.hanning(p.window))) ** 2 + 1e-6))
+        energy.append(10 * np.log10((frame**2).sum() / p.window + 1e-9))
+    return np.array(mel), np.array(energy)
+
+
+def test_stored_tensors_against_a_plain_path():
     p = audio.AudioParams()
-    col = audio.tensor_column(pa.array([[0.0] * (64 * 32)] * 2, pa.list_(pa.float32())), p)
-    assert col.type.shape == [64, 32] and len(col) == 2
+    rng = random.Random(12)
+    for text in ("", "short", "a" * 4000 + " " * 4000 + "ZZZ~~~" * 900, " ".join(rng.choice(["river", "STONE", "~~~", "   "]) for _ in range(6000))):
+        payload, _ = audio.as_payload(text)
+        found = audio.analyse(audio.wav_bytes(payload, p.rate), p)
+        mel, energy = plain_audio(payload, p)
+        assert mel.shape == found["mel"].shape and np.abs(mel - found["mel"]).max() < 0.05
+        stored = audio.store_tensors(found)
+        table = audio.load_tensors(stored)
+        assert table.schema.field("values").type.shape == [p.tensor_frames, p.mels]
+        at = 0
+        for a, b in found["segments"]:
+            assert (energy[a:b] >= np.quantile(energy, p.floor_quantile) + p.close_db - 0.1).all()
+            for c in range(a, b, p.tensor_frames):
+                used = min(p.tensor_frames, b - c)
+                t = table["values"].combine_chunks().to_numpy_ndarray()[at]
+                assert table["frames"][at].as_py() == used and np.abs(t[:used] - mel[c : c + used]).max() < 0.05 and not t[used:].any()
+                assert table["start_s"][at].as_py() == pytest.approx(c * p.hop / p.out_rate) and table["end_s"][at].as_py() == pytest.approx(((c + used - 1) * p.hop + p.window) / p.out_rate)
+                at += 1
+        assert at == len(table) and audio.feature_text(found, stored).endswith("tensors=0" if not at else f"to_s={table['end_s'][-1].as_py():.4f}")
 
 
 def test_anchor_words_lose_no_template_match():
