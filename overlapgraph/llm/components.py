@@ -5,24 +5,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, materialise
+from .common import bounded_broadcast, drop_scratch, materialise, scratch_mark
 
 #: Up to this many labels (16 bytes each) are broadcast; beyond, the joins shuffle and AQE splits hot keys.
 BROADCAST_LABELS = 500_000
 
 
+def _to_roots(move: DataFrame) -> DataFrame:
+    """Pointers (v, m) with m <= v to pointers that end at a fixed point: each step doubles what a vertex has seen."""
+    while True:
+        up = bounded_broadcast(move, BROADCAST_LABELS).select(F.col("v").alias("m"), F.col("m").alias("far"))
+        step = materialise(move.join(up, "m", "left").select("v", F.coalesce("far", "m").alias("m"), (F.coalesce("far", "m") != F.col("m")).alias("moved")), "cc-jump")
+        move = step.select("v", "m")
+        if step.where("moved").isEmpty():
+            return move
+
+
 def components(links: DataFrame) -> DataFrame:
     """Links (a, b) of 64-bit vertices to rows (v, root), for the vertices that have a link.
 
-    Each round moves every vertex to its smallest neighbour and contracts the links; the number
-    of rounds grows with the logarithm of the longest chain. Every table stays distributed.
-    The root is the smallest vertex of a component.
+    In each round every vertex points to its smallest neighbour, if that is smaller; the pointers are followed
+    to their ends by doubling, and the links are contracted. A vertex that ends a round is smaller than its
+    neighbours; after two rounds at most half of the vertices are left: one that nobody pointed to has a smaller neighbour
+    in the second. So the rounds, and the doublings in each, grow with the logarithm of the number of vertices, for
+    chains as for stars. Every table stays distributed. The root is the smallest vertex of a component.
     """
+    mark = scratch_mark()
     edges = materialise(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct(), "cc-edges")
     label = None
     while True:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         move = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("v"), F.least("a", "m").alias("m")), "cc-move")
+        move = _to_roots(move)
         small = bounded_broadcast(move, BROADCAST_LABELS)
         if label is None:
             label = move.select("v", F.col("m").alias("root"))
@@ -37,4 +51,5 @@ def components(links: DataFrame) -> DataFrame:
             "cc-edges",
         )
         if edges.isEmpty():
+            drop_scratch(links.sparkSession, mark, (label,))
             return label

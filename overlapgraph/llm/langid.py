@@ -20,11 +20,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import held_out, text_batches, text_of
+from .common import held_out, small_enough, text_batches, text_of
 
 #: Bounds of the training sample (documented parameters): documents of a language, and characters of one.
 TRAIN_DOCS_PER_LANG = 400
 TRAIN_DOC_CHARS = 100_000
+#: A column with more values than this holds no languages; the model has a weight of each bucket for each.
+MAX_LANGS = 500
 SEGMENT = 32
 UNDETERMINED = "und"
 
@@ -263,7 +265,7 @@ def predict_texts(texts: list[str], model: LangModel) -> tuple[list[str], np.nda
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_lang: int = TRAIN_DOCS_PER_LANG, max_chars: int = TRAIN_DOC_CHARS) -> LangModel:
     """Train on a bounded sample of documents with a language, outside the test fold, by a hash of the id.
 
-    The number of languages is taken to be small (a sample of each is collected).
+    More than ``MAX_LANGS`` languages are an error: a sample of each is collected.
     """
     spark = docs.sparkSession
     known = docs.select(F.col(id_col).cast("long").alias("id"), F.col(lang_col).alias("lang"), F.length(text_of(text_col)).alias("n")).where(
@@ -271,6 +273,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     )
     # a hash threshold per language draws a little more than is wanted, whatever the size of a language
     counts = known.groupBy("lang").agg(F.count(F.lit(1)).alias("c"))
+    if not small_enough(counts, MAX_LANGS):
+        raise ValueError(f"more than {MAX_LANGS} languages")
     share = F.least(F.lit(1.0), F.lit(1.3 * per_lang + 50) / F.col("c"))
     place = F.pmod(F.xxhash64("id"), F.lit(1 << 40))
     drawn = known.join(F.broadcast(counts), "lang").where(place < share * float(1 << 40)).select("id", "lang", place.alias("place")).distinct().collect()

@@ -3,25 +3,39 @@
 Each document of a source has the same expected number of copies, target / size of the source.
 Prefix sums of these expectations, in an order by size within the source, plus one random
 offset per source: a document is emitted once for every integer its interval crosses.
-The order by size makes the taken words follow the target closely.
+The order by size makes the taken words follow the target closely. Inside a size class the order is that of
+a hash of id and text, so it is the same in every run whatever the ids are; rows equal in both are interchangeable.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import FILE, NOT_WS, ROW, bounded_broadcast, located, materialise, text_of
+from .common import FILE, NOT_WS, ROW, bounded_broadcast, drop_scratch, field, located, materialise, scratch_mark, text_of, unpacked
 
 WEIGHTS = (5, 2, 1)
 MAX_REPEATS = 3
 SEED = "mix-1"
 #: Up to this many (source, size class) rows are broadcast; beyond it the joins shuffle.
 BROADCAST_ROWS = 200_000
+#: A block that holds more rows than this beyond four times its share (of equal ids and texts) is cut by the rows' places.
+BLOCK_ROWS = 10_000
 
 
-def words_in(text_col: str):
-    return F.regexp_count(text_of(text_col), F.lit(NOT_WS)).cast("long")
+def words_in(text: Column) -> Column:
+    return F.regexp_count(text_of(text), F.lit(NOT_WS)).cast("long")
+
+
+def order_tag(doc: Column, text: Column) -> Column:
+    """The first 32 bits of a hash of id and text; a null id counts as an empty one, null text as empty."""
+    named = F.concat(F.coalesce(doc.cast("string"), F.lit("")), F.lit(":"), text_of(text))
+    return F.conv(F.substring(F.md5(named.cast("binary")), 1, 8), 16, 10).cast("long")
+
+
+def _slim(here: DataFrame, id_col: str, text_col: str, source_col: str) -> DataFrame:
+    doc, text = field(id_col).cast("long"), field(text_col)
+    return here.select(doc.alias("doc"), source_key(field(source_col)).alias("src"), words_in(text).alias("words"), order_tag(doc, text).alias("tag"), FILE, ROW)
 
 
 def targets(cells: DataFrame, weights: tuple = WEIGHTS, max_repeats: int = MAX_REPEATS) -> DataFrame:
@@ -44,7 +58,7 @@ def targets(cells: DataFrame, weights: tuple = WEIGHTS, max_repeats: int = MAX_R
 
 
 def mix_slim(slim: DataFrame, seed: str = SEED, weights: tuple = WEIGHTS, max_repeats: int = MAX_REPEATS) -> DataFrame:
-    """Rows (src, doc, words, ...) with source_size, target, copies; all columns of ``slim`` stay."""
+    """Rows (src, doc, words, tag, file, row) with source_size, target, copies."""
     # a size class keeps the four leading bits of the size
     shift = "cast(greatest(length(bin(words)) - 4, 0) as int)"
     slim = slim.withColumn("cls", F.expr(f"shiftleft(shiftright(words, {shift}), {shift})"))
@@ -58,30 +72,37 @@ def mix_slim(slim: DataFrame, seed: str = SEED, weights: tuple = WEIGHTS, max_re
     cell = materialise(cell.drop("words"), "mix-goal")
     cell_b = bounded_broadcast(cell, BROADCAST_ROWS)
     # a cell of c rows is cut into sqrt(c) blocks of about sqrt(c) rows, so no window holds a hot source
-    placed = slim.join(cell_b, ["src", "cls"]).withColumn("sub", F.pmod(F.coalesce(F.col("doc"), F.lit(0).cast("long")), F.col("fan")))
-    inside = Window.partitionBy("src", "cls").orderBy("sub").rowsBetween(Window.unboundedPreceding, -1)
-    blocks = placed.groupBy("src", "cls", "sub").agg(F.count(F.lit(1)).alias("c")).withColumn("block_at", F.coalesce(F.sum("c").over(inside), F.lit(0))).drop("c")
+    placed = slim.join(cell_b, ["src", "cls"]).withColumn("sub", F.pmod("tag", "fan"))
+    counts = materialise(placed.groupBy("src", "cls", "sub", "fan").agg(F.count(F.lit(1)).alias("c")), "mix-counts")
+    hot = counts.where(F.col("c") > 4 * F.col("fan") + BLOCK_ROWS).select("src", "cls", "sub", F.ceil(F.col("c") / BLOCK_ROWS).alias("cuts"))
+    placed = placed.join(bounded_broadcast(hot, BROADCAST_ROWS), ["src", "cls", "sub"], "left").withColumn("cut", F.pmod(F.xxhash64(FILE, ROW), F.coalesce("cuts", F.lit(1)))).drop("cuts")
+    inside = Window.partitionBy("src", "cls").orderBy("sub", "cut").rowsBetween(Window.unboundedPreceding, -1)
+    if not hot.isEmpty():
+        counts = placed.groupBy("src", "cls", "sub", "cut").agg(F.count(F.lit(1)).alias("c"))
+    else:
+        counts = counts.withColumn("cut", F.lit(0).cast("long"))
+    blocks = counts.withColumn("block_at", F.coalesce(F.sum("c").over(inside), F.lit(0))).select("src", "cls", "sub", "cut", "block_at")
     blocks = bounded_broadcast(materialise(blocks, "mix-blocks"), BROADCAST_ROWS)
-    rank = F.row_number().over(Window.partitionBy("src", "cls", "sub").orderBy("words", F.col("doc").asc_nulls_last()))
-    ranked = placed.join(blocks, ["src", "cls", "sub"]).withColumn("rank", F.col("cell_at") + F.col("block_at") + rank)
+    rank = F.row_number().over(Window.partitionBy("src", "cls", "sub", "cut").orderBy("words", F.col("doc").asc_nulls_last(), "tag", FILE, ROW))
+    ranked = placed.join(blocks, ["src", "cls", "sub", "cut"]).withColumn("rank", F.col("cell_at") + F.col("block_at") + rank)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     copies = F.floor(F.col("offset") + rate * F.col("rank")) - F.floor(F.col("offset") + rate * (F.col("rank") - 1))
-    return ranked.withColumn("copies", copies.cast("long")).drop("cls", "fan", "cell_at", "sub", "block_at", "rank", "offset", "cnt")
+    return ranked.select("src", "doc", "words", FILE, ROW, "source_size", "target", copies.cast("long").alias("copies"))
 
 
-def source_key(source_col: str):
+def source_key(source: Column) -> Column:
     """Sources by code point with null last: the key sorts that way and tells null from empty."""
-    return F.when(F.col(source_col).isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), F.col(source_col).cast("string")))
+    return F.when(source.isNull(), F.lit("1")).otherwise(F.concat(F.lit("0"), source.cast("string")))
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: str = SEED) -> DataFrame:
     """One row per input row: id, size, source_size, target, copies, taken.
 
     Null text has size 0; a null source is a source of its own and comes last. Documents of size
-    0 take part like others and take no words. A null id counts as 0 in the order; repeated rows
-    are separate documents. Only these three columns are read, so no other name can clash.
+    0 take part like others and take no words. Null and repeated ids are told apart by their texts; repeated rows
+    are separate documents. Only these three columns are read, so no other name can clash. An empty table gives no row.
     """
-    slim = docs.select(F.col(id_col).cast("long").alias("doc"), source_key(source_col).alias("src"), words_in(text_col).alias("words"))
+    slim = _slim(located(docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(source_col).alias("source"))), "id", "text", "source")
     out = mix_slim(materialise(slim, "mix-slim"), seed)
     return out.select(
         F.col("doc").alias(id_col), F.col("words").alias("size"), "source_size", "target", "copies", (F.col("words") * F.col("copies")).cast("long").alias("taken")
@@ -95,7 +116,9 @@ BROADCAST_DECISIONS = 500_000
 def emit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: str = SEED) -> DataFrame:
     """The mix itself: every row as often as it is taken, with all its columns."""
     here = located(docs)
-    slim = here.select(F.col(id_col).cast("long").alias("doc"), source_key(source_col).alias("src"), words_in(text_col).alias("words"), FILE, ROW)
-    taken = materialise(mix_slim(materialise(slim, "mix-slim"), seed).where("copies > 0").select(FILE, ROW, F.col("copies").alias("__copies")), "mix-taken")
+    mark = scratch_mark()
+    taken = mix_slim(materialise(_slim(here, id_col, text_col, source_col), "mix-slim"), seed).where("copies > 0")
+    taken = materialise(taken.select(FILE, ROW, F.sequence(F.lit(1).cast("long"), F.col("copies")).alias("each")), "mix-taken")
+    drop_scratch(docs.sparkSession, mark, (taken,))
     out = here.join(bounded_broadcast(taken, BROADCAST_DECISIONS), [FILE, ROW])
-    return out.withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("__copies")))).select(*docs.columns)
+    return unpacked(out.select("rec", F.explode("each")), docs.columns)

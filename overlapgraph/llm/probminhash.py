@@ -5,7 +5,14 @@ of one to four words is one shingle). Each shingle is a Poisson process whose ra
 weight, ``1 + ln(count)``; every arrival picks one register, and a register keeps the shingle of
 its earliest arrival. A shingle stops as soon as its next arrival would be later than the latest
 register, so work is about n + k ln k for n shingles and k registers. Two documents
-agree in a register with their probability Jaccard similarity.
+agree in a register with their probability Jaccard similarity J, and two documents are similar when the exact
+J of their weighted shingles reaches the threshold; where no shingle repeats, J is the Jaccard similarity of the sets.
+With 48 bands of 8 registers a pair with J = 0.8 shares a bucket with probability 0.9998.
+
+With o and o' the shares of the two weights that lie on common shingles, 1/J >= 1/o + 1/o' - 1: a common shingle
+whose weights have the shares p and p' adds at most 1 / (1/p + (1 - o')/p') to J, a function that is concave and
+grows in proportion, so its sum is at most its value at the sums o and o'. Hence J >= s needs o, o' >= s, and one
+of them at least 2s/(1+s). The size test and the exact join below rest on this bound.
 """
 
 from __future__ import annotations
@@ -19,12 +26,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textvec as tv
-from .common import FILE, ROW, bounded_broadcast, located, materialise, squeezed, text_batches, text_of
+from .common import FILE, ROW, bounded_broadcast, drop_scratch, field, join_groups, located, materialise, scratch_mark, squeezed, text_batches, text_of, unpacked
 from .components import components
 
 SHINGLE_WORDS = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 48, 8
+#: Room for rounding where a similarity or a share is held against a bound.
+EPS = 1e-9
 
 
 def shingle_sets(texts: list[str], words: int = SHINGLE_WORDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -89,20 +98,40 @@ def band_keys(sig: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return acc.view(np.int64)
 
 
-def sketch(texts: list[str], bands: int = BANDS, rows: int = ROWS) -> tuple[np.ndarray, np.ndarray]:
-    """(band keys, number of distinct shingles) of a block of texts."""
+def weights(count: np.ndarray) -> np.ndarray:
+    return 1.0 + np.log(count)
+
+
+def sketch(texts: list[str], bands: int = BANDS, rows: int = ROWS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(band keys, number of distinct shingles, sum of their weights) of a block of texts."""
     doc, shingle, count = shingle_sets(texts)
-    sig = signatures(doc, shingle, 1.0 + np.log(count), len(texts), bands * rows)
-    return band_keys(sig, bands, rows), np.bincount(doc, minlength=len(texts))
+    w = weights(count)
+    sig = signatures(doc, shingle, w, len(texts), bands * rows)
+    return band_keys(sig, bands, rows), np.bincount(doc, minlength=len(texts)), np.bincount(doc, weights=w, minlength=len(texts)).astype(np.float64)
+
 
+def similarity_of(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
+    """The exact probability Jaccard similarity of two weighted sets (sorted members, weights).
 
-def jaccard(a: np.ndarray, b: np.ndarray) -> float:
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return both / max(len(a) + len(b) - both, 1)
+    For a common member d, max(a_e/a_d, b_e/b_d) is a_e/a_d where the ratio a_e/b_e is at least that of d, and
+    b_e/b_d elsewhere; so sums along the common members sorted by their ratio give all the terms.
+    """
+    (s, v), (t, w) = a, b
+    _, i, j = np.intersect1d(s, t, assume_unique=True, return_indices=True)
+    if not len(i):
+        return 0.0
+    x, y = v[i], w[j]
+    ratio = x / y
+    order = np.argsort(ratio, kind="stable")
+    x, y, ratio = x[order], y[order], ratio[order]
+    first = np.searchsorted(ratio, ratio, side="left")
+    above = np.append(np.cumsum(x[::-1])[::-1], 0.0)[first] + (v.sum() - x.sum())
+    below = np.append(0.0, np.cumsum(y))[first] + (w.sum() - y.sum())
+    return float(np.sum(1.0 / (above / x + below / y)))
 
 
 def probability_jaccard(a: dict, b: dict) -> float:
-    """The similarity that the registers estimate, computed exactly (for tests and reports)."""
+    """The same by its definition, for tests."""
     total = 0.0
     for d in a.keys() & b.keys():
         total += 1.0 / sum(max(a.get(e, 0) / a[d], b.get(e, 0) / b[d]) for e in a.keys() | b.keys())
@@ -113,10 +142,10 @@ def _sketch_batches(batches: Iterator[pa.RecordBatch], bands: int, rows: int) ->
     for batch in tv.pieces(batches):
         ids, texts = batch.column(0), batch.column(1).to_pylist()
         for a, b in tv.blocks(texts):
-            keys, n = sketch(texts[a:b], bands, rows)
+            keys, n, w = sketch(texts[a:b], bands, rows)
             flat = pa.array(keys.reshape(-1))
             lists = pa.ListArray.from_arrays(pa.array(np.arange(0, keys.size + 1, bands, dtype=np.int32)), flat)
-            yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(n.astype(np.int64)), lists], ["id", "n", "keys"])
+            yield pa.RecordBatch.from_arrays([ids.slice(a, b - a), pa.array(n.astype(np.int64)), pa.array(w), lists], ["id", "n", "w", "keys"])
 
 
 def _verify_batches(batches: Iterator[pa.RecordBatch], similarity: float) -> Iterator[pa.RecordBatch]:
@@ -124,21 +153,22 @@ def _verify_batches(batches: Iterator[pa.RecordBatch], similarity: float) -> Ite
         a_id, b_id = batch.column(0).to_numpy(), batch.column(1).to_numpy()
         left, right = batch.column(2), batch.column(3)
         out = []
-        known: dict[int, np.ndarray] = {}
+        known: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         size = 0
         for i in range(batch.num_rows):
             pair = []
             for key, col in ((a_id[i], left), (b_id[i], right)):
                 got = known.get(key)
                 if got is None:
-                    if size > 1 << 19:
+                    if size > 1 << 18:
                         known, size = {}, 0
-                    got = known[key] = shingle_sets([col[i].as_py()])[1]
-                    size += len(got)
+                    _, members, count = shingle_sets([col[i].as_py()])
+                    got = known[key] = members, weights(count)
+                    size += len(members)
                 pair.append(got)
-            out.append(jaccard(*pair))
+            out.append(similarity_of(*pair))
         sim = np.array(out, np.float64)
-        ok = sim >= similarity
+        ok = sim >= similarity - EPS
         yield pa.RecordBatch.from_arrays([pa.array(a_id[ok]), pa.array(b_id[ok]), pa.array(sim[ok])], ["a", "b", "sim"])
 
 
@@ -146,13 +176,14 @@ def _shingle_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
     for batch in tv.pieces(batches):
         k, comp, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), batch.column(2).to_pylist()
         for a, b in tv.blocks(texts):
-            doc, shingle, _ = shingle_sets(texts[a:b])
-            n = np.bincount(doc, minlength=b - a)[doc].astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(k[a:b][doc]), pa.array(comp[a:b][doc]), pa.array(n), pa.array(shingle.view(np.int64))], ["k", "comp", "n", "s"])
+            doc, shingle, count = shingle_sets(texts[a:b])
+            w = weights(count)
+            share = w / np.bincount(doc, weights=w, minlength=b - a)[doc]
+            yield pa.RecordBatch.from_arrays([pa.array(k[a:b][doc]), pa.array(comp[a:b][doc]), pa.array(share), pa.array(shingle.view(np.int64))], ["k", "comp", "p", "s"])
 
 
 #: Up to this many ids or keys (at most 40 bytes each) are broadcast; beyond it the joins shuffle.
-BROADCAST_ROWS = 500_000
+BROADCAST_ROWS = 300_000
 #: Pairs that share a centre are split into groups of about this many before its text is joined.
 PAIRS_PER_SALT = 64
 
@@ -182,99 +213,75 @@ def _verified(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFram
 def _close_pairs(open_: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     """Pairs (lo, hi) of texts of different components, among them all that reach the threshold.
 
-    ``open_`` has rows (k, comp). Shingles are ordered by rarity, those of one component alone first. Two sets
-    that need ``o`` common members have one among the first ``n - o + 1`` of each, so the
-    smaller set is looked up by few rare shingles; texts whose first shingles are their own meet nobody.
+    ``open_`` has rows (k, comp). A text's shingles are ordered by rarity, those of one component alone first. Of a similar pair one text
+    has a share of at least 2s/(1+s) on common shingles and the other one of at least s. So the shingles of the first
+    up to the point where less than 2s/(1+s) of its weight follows, and those of the second up to the
+    point where less than s follows, have a member in common. Texts whose first shingles are their own meet nobody.
     """
-    schema = "k long, comp long, n long, s long"
+    schema = "k long, comp long, p double, s long"
     few = texts.join(bounded_broadcast(open_, BROADCAST_ROWS), "k").select("k", "comp", "text")
     sets = materialise(few.mapInArrow(_shingle_batches, schema), "nd-shingles")
     shared = sets.groupBy("s").agg(F.count(F.lit(1)).alias("c"), F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("s", "c")
     shared = bounded_broadcast(materialise(shared, "nd-common"), BROADCAST_ROWS)
-    least = lambda share: F.ceil(share - F.lit(1e-9))
-    # a window holds the shingles of one text
-    own = Window.partitionBy("k")
-    at = F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("c", "s"))
-    first = sets.join(shared, "s").withColumn("at", at).where(F.col("at") <= F.col("n") - least(similarity * F.col("n")) + 1)
-    first = materialise(first.select("k", "comp", "n", "s", "at"), "nd-prefix")
-    both = 2 * similarity / (1 + similarity)
-    x = first.where(F.col("at") <= F.col("n") - least(both * F.col("n")) + 1).alias("x")
-    need = least(both / 2 * (F.col("x.n") + F.col("y.n")))
+    # a window holds the shingles of one text; ``rest`` is the share of this shingle and all that follow it
+    rest = F.sum("p").over(Window.partitionBy("k").orderBy(F.desc("c"), F.desc("s")).rowsBetween(Window.unboundedPreceding, 0))
+    first = sets.join(shared, "s").withColumn("rest", rest).where(F.col("rest") >= similarity - EPS)
+    first = materialise(first.select("k", "comp", "s", "rest"), "nd-prefix")
+    most = 2 * similarity / (1 + similarity)
+    x, y = first.where(F.col("rest") >= most - EPS).alias("x"), first.alias("y")
     meet = (
         (F.col("x.s") == F.col("y.s"))
-        & (F.struct("x.n", "x.k") < F.struct("y.n", "y.k"))
         & (F.col("x.comp") != F.col("y.comp"))
-        & (F.least(F.col("x.n") - F.col("x.at"), F.col("y.n") - F.col("y.at")) + 1 >= need)
-    )
-    return x.join(first.alias("y"), meet).select(F.least("x.k", "y.k").alias("lo"), F.greatest("x.k", "y.k").alias("hi")).distinct()
-
-
-def near_duplicates(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS
-) -> DataFrame:
-    """One row per input row: id, class_id, class_size, kept, n_links, and its locator.
-
-    ``class_id`` is the smallest id in the class (connected component of verified links and exact
-    copies); ``kept`` marks one row of each class; ``n_links`` counts the verified links of the
-    row's text to other texts; only tested pairs count, and texts already in one class are not tested. Null text counts as empty, all texts without words are copies of each other; a null
-    id sorts last, and a class with null ids alone has a null class_id. Repeated rows are
-    copies. Other columns are ignored, so their names cannot clash.
-
-    Every bucket links its members to one centre, which then leaves the bucket; verified links
-    contract to components, and buckets that still hold several components get another centre,
-    until a round of changing centres adds no link. A round makes at most one pair per bucket member, whatever the
-    size of the bucket. The texts of buckets that are then still open are joined exactly, by their rarest shingles, so every
-    pair that shares a bucket and reaches the threshold is in one class.
-    """
-    spark = docs.sparkSession
-    base = located(text_batches(docs)).select(F.col(id_col).cast("long").alias("doc"), F.col(FILE).alias("file"), F.col(ROW).alias("row"), text_of(text_col).alias("text"))
-    long = T.LongType()
-    at_type = T.StructType([T.StructField("file", long), T.StructField("row", long)])
-    id_type = T.StructType(
-        [
-            T.StructField("id", T.StructType([T.StructField("doc", long), T.StructField("at", at_type), T.StructField("digest", T.BinaryType())])),
-            T.StructField("n", T.LongType()),
-            T.StructField("keys", T.ArrayType(T.LongType())),
-        ]
-    )
-    named = F.struct("doc", F.struct("file", "row").alias("at"), _digest("text").alias("digest"))
-    sketched = base.select(named.alias("id"), "text").mapInArrow(
-        lambda it: _sketch_batches(it, bands, rows), id_type
+        & (1 / F.col("x.rest") + 1 / F.col("y.rest") <= 1 + 1 / similarity + EPS)
     )
-    rows_ = materialise(sketched.select("id.doc", "id.at", "id.digest", "n", "keys"), "nd-sketch")
+    return x.join(y, meet).select(F.least("x.k", "y.k").alias("lo"), F.greatest("x.k", "y.k").alias("hi")).distinct()
+
+
+def _may_reach(n: str, w: str, n2: str, w2: str, similarity: float):
+    """Whether the sizes of two texts allow the similarity: each weight is 1 at least, so at most (1 - s) W shingles are not common."""
+    most = 1 - similarity
+    return (F.col(n) - F.col(n2) <= most * F.col(w) + EPS) & (F.col(n2) - F.col(n) <= most * F.col(w2) + EPS)
+
+
+def _classes(here: DataFrame, id_col: str, text_col: str, similarity: float, bands: int, rows: int) -> DataFrame:
+    """Rows (doc, file, row, class_id, class_size, kept, n_links) of a located frame."""
+    spark = here.sparkSession
+    mark = scratch_mark()
+    base = text_batches(here).select(field(id_col).cast("long").alias("doc"), FILE, ROW, text_of(field(text_col)).alias("text"))
+    long, double = T.LongType(), T.DoubleType()
+    at_type = T.StructType([T.StructField(FILE, long), T.StructField(ROW, long)])
+    id_type = T.StructType([
+        T.StructField("id", T.StructType([T.StructField("doc", long), T.StructField("at", at_type), T.StructField("digest", T.BinaryType())])),
+        T.StructField("n", long), T.StructField("w", double), T.StructField("keys", T.ArrayType(long)),
+    ])
+    named = F.struct("doc", F.struct(FILE, ROW).alias("at"), _digest("text").alias("digest"))
+    sketched = base.select(named.alias("id"), "text").mapInArrow(lambda it: _sketch_batches(it, bands, rows), id_type)
+    rows_ = materialise(sketched.select("id.doc", "id.at", "id.digest", "n", "w", "keys"), "nd-sketch")
     order = F.struct(F.col("doc").isNull(), F.col("doc"), F.col("at"))
     copies = materialise(
         rows_.groupBy("digest")
-        .agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("keys").alias("keys"))
-        .select("digest", "first", "copies", "n", "keys", F.xxhash64("digest").alias("p"), F.monotonically_increasing_id().alias("k")),
+        .agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("w").alias("w"), F.first("keys").alias("keys"))
+        .select("digest", "first", "copies", "n", "w", "keys", F.xxhash64("digest").alias("p"), F.monotonically_increasing_id().alias("k")),
         "nd-texts",
     )
-    spread = copies.where("n > 0").select("k", "p", "n", F.explode("keys").alias("key"))
+    spread = copies.where("n > 0").select("k", "p", "n", "w", F.explode("keys").alias("key"))
     shared = spread.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     shared = materialise(shared, "nd-shared")
     members = materialise(spread.join(bounded_broadcast(shared, BROADCAST_ROWS), "key"), "nd-members")
     # a text that meets many others is the likely origin of its copies, and the best first centre
     met = materialise(members.groupBy("k").agg(F.sum("c").alias("met")), "nd-met")
     members = members.drop("c").join(bounded_broadcast(met, BROADCAST_ROWS), "k")
-    involved = members.select("k").distinct()
-    named = copies.join(bounded_broadcast(involved, BROADCAST_ROWS), "k").select("k", "digest", F.col("first.doc").alias("doc"))
-    named = materialise(named, "nd-named")
-    wanted = bounded_broadcast(named, BROADCAST_ROWS).withColumnRenamed("digest", "want")
-    texts = (
-        base.join(wanted, base["doc"].eqNullSafe(wanted["doc"]))
-        .where(_digest("text") == F.col("want"))
-        .groupBy("k")
-        .agg(F.first("text").alias("text"))
-    )
-    texts = materialise(texts, "nd-text")
+    # the text of each digest is read at the place of its first row, one row and no other
+    wanted = materialise(copies.join(bounded_broadcast(met.select("k"), BROADCAST_ROWS), "k").select("k", F.col(f"first.at.{FILE}").alias(FILE), F.col(f"first.at.{ROW}").alias(ROW)), "nd-named")
+    texts = materialise(base.join(bounded_broadcast(wanted, BROADCAST_ROWS), [FILE, ROW]).select("k", "text"), "nd-text")
 
     links, tried, label, turn = None, None, None, 0
-    # what is left of the buckets: (key, k, p, n, met, comp); in the beginning each text is its own component
+    # what is left of the buckets: (key, k, p, n, w, met, comp); in the beginning each text is its own component
     state = members.withColumn("comp", F.col("k"))
     while True:
         turn += 1
         # the centre: in the first round the text that meets most others, later one of a small component
-        pick = F.struct("k", "comp", "n")
+        pick = F.struct("k", "comp", "n", "w")
         if turn == 1:
             heads = state.groupBy("key").agg(F.max_by(pick, F.struct("met", "p")).alias("c"))
         else:
@@ -285,7 +292,7 @@ def near_duplicates(
         placed = materialise(state.join(bounded_broadcast(heads, BROADCAST_ROWS), "key"), "nd-placed")
         lo, hi = F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")
         pairs = (
-            placed.where((F.col("comp") != F.col("c.comp")) & (F.least("n", "c.n") >= F.lit(similarity) * F.greatest("n", "c.n")))
+            placed.where((F.col("comp") != F.col("c.comp")) & _may_reach("n", "w", "c.n", "c.w", similarity))
             .select(F.col("c.k").alias("a"), F.col("k").alias("b"))
             .groupBy(lo, hi)
             .agg(F.min("a").alias("a"))
@@ -301,13 +308,13 @@ def near_duplicates(
             label = components(links)
         tried = pairs.select("lo", "hi") if tried is None else tried.unionByName(pairs.select("lo", "hi"))
         # a centre has met every other component of its bucket and leaves it; a bucket of one component is done
-        left = placed.where("k <> c.k").select("key", "k", "p", "n", "met", "comp")
+        left = placed.where("k <> c.k").select("key", "k", "p", "n", "w", "met", "comp")
         if not stalled:
-            left = left.drop("comp").join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", "met", F.coalesce("root", "k").alias("comp"))
+            left = left.drop("comp").join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left").select("key", "k", "p", "n", "w", "met", F.coalesce("root", "k").alias("comp"))
         left = materialise(left, "nd-left")
         open_ = left.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
         state = materialise(left.join(bounded_broadcast(materialise(open_, "nd-open"), BROADCAST_ROWS), "key"), "nd-state")
-        # the fixed centres of the first round may all miss, so it alone ends nothing
+        # what a round leaves open goes on; the fixed centres of the first may all miss, so it alone hands nothing to the exact join
         if state.isEmpty() or (stalled and turn > 1):
             break
 
@@ -319,8 +326,9 @@ def near_duplicates(
             links = found if links is None else links.unionByName(found)
             label = components(links)
 
+    none = F.lit(0).cast("long")
     if links is None:
-        classes = copies.select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), F.lit(0).cast("long").alias("n_links"))
+        classes = copies.select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), none.alias("n_links"), "copies")
     else:
         degree = links.select(F.explode(F.array("a", "b")).alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("n_links"))
         tagged = (
@@ -328,20 +336,43 @@ def near_duplicates(
             .join(bounded_broadcast(label, BROADCAST_ROWS).withColumnRenamed("v", "k"), "k", "left")
             .join(bounded_broadcast(materialise(degree, "nd-degree"), BROADCAST_ROWS), "k", "left")
         )
-        alone = tagged.where("root is null").select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), F.lit(0).cast("long").alias("n_links"))
+        alone = tagged.where("root is null").select("digest", F.col("first.doc").alias("class_id"), F.col("first.at").alias("keep_at"), F.col("copies").alias("class_size"), none.alias("n_links"), "copies")
         together = materialise(tagged.where("root is not null"), "nd-linked")
-        roots = together.groupBy("root").agg(F.min("first").alias("head"), F.sum("copies").alias("class_size"))
-        roots = bounded_broadcast(materialise(roots, "nd-roots"), BROADCAST_ROWS)
-        linked = together.join(roots, "root").select("digest", F.col("head.doc").alias("class_id"), F.col("head.at").alias("keep_at"), "class_size", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
+        roots = materialise(together.groupBy("root").agg(F.min("first").alias("head"), F.sum("copies").alias("class_size"), F.count(F.lit(1)).alias("texts")), "nd-roots")
+        linked = join_groups(together, roots, "root", "texts", BROADCAST_ROWS)
+        linked = linked.select("digest", F.col("head.doc").alias("class_id"), F.col("head.at").alias("keep_at"), "class_size", F.coalesce("n_links", none).alias("n_links"), "copies")
         classes = alone.unionByName(linked)
     classes = materialise(classes, "nd-classes")
-    return rows_.select("doc", "digest", "at").join(classes, "digest").select(
-        F.col("doc").alias(id_col), "class_id", "class_size", (F.col("at") == F.col("keep_at")).alias("kept"), "n_links", F.col("at.file").alias(FILE), F.col("at.row").alias(ROW)
-    )
+    out = join_groups(rows_.select("doc", "digest", "at"), classes, "digest", "copies", BROADCAST_ROWS)
+    drop_scratch(spark, mark, (rows_, classes))
+    return out.select("doc", F.col(f"at.{FILE}").alias(FILE), F.col(f"at.{ROW}").alias(ROW), "class_id", "class_size", (F.col("at") == F.col("keep_at")).alias("kept"), "n_links")
+
+
+def near_duplicates(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS
+) -> DataFrame:
+    """One row per input row: id, class_id, class_size, kept, n_links, and its locator (file, row).
+
+    ``class_id`` is the smallest id in the class (connected component of verified links and exact
+    copies); ``kept`` marks one row of each class; ``n_links`` counts the verified links of the
+    row's text to other texts; only tested pairs count, and texts already in one class are not tested. Null text counts as empty, all texts without words are copies of each other; a null
+    id sorts last, and a class with null ids alone has a null class_id. Repeated rows are
+    copies. Other columns are ignored, so their names cannot clash. An empty table gives no row.
+
+    Every bucket links its members to one centre, which then leaves the bucket; verified links
+    contract to components, and buckets that still hold several components get another centre,
+    until a round of changing centres adds no link. A round makes at most one pair per bucket member, whatever the
+    size of the bucket. The texts of buckets that are then still open are joined exactly, by their rarest shingles, so every
+    pair that shares a bucket and reaches the threshold is in one class.
+    """
+    found = _classes(located(docs), id_col, text_col, similarity, bands, rows)
+    return found.select(F.col("doc").alias(id_col), "class_id", "class_size", "kept", "n_links", FILE, ROW)
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each class, with all its columns."""
     here = located(docs)
-    gone = materialise(near_duplicates(here, id_col, text_col).where(~F.col("kept")).select(FILE, ROW), "nd-gone")
-    return here.join(bounded_broadcast(gone, BROADCAST_ROWS), [FILE, ROW], "left_anti").drop(FILE, ROW)
+    mark = scratch_mark()
+    gone = materialise(_classes(here, id_col, text_col, SIMILARITY, BANDS, ROWS).where(~F.col("kept")).select(FILE, ROW), "nd-gone")
+    drop_scratch(docs.sparkSession, mark, (gone,))
+    return unpacked(here.join(bounded_broadcast(gone, BROADCAST_ROWS), [FILE, ROW], "left_anti"), docs.columns)

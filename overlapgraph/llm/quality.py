@@ -173,4 +173,6 @@ def keep_good(docs: DataFrame, model: QualityModel, text_col: str = "text", thre
             s = scorer([t or "" for t in batch.column(at).to_pylist()])
             yield batch.filter(pa.array(s >= threshold))
 
-    return text_batches(docs).mapInArrow(run, docs.schema)
+    # columns go by place, so that any name will do
+    plain = T.StructType([T.StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema)])
+    return text_batches(docs).toDF(*plain.names).mapInArrow(run, plain).toDF(*docs.columns)

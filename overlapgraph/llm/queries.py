@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
-
+import re
 from functools import lru_cache
 
+from pyspark.sql import DataFrame, SparkSession
+
 from . import audio, bpe, exact_dedup, html_main, langid, licenses, mixing, probminhash, quality, quotes
 from .common import read_table
 
@@ -39,7 +40,7 @@ def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read_table(spark, sf_dir, "documents")).drop("copies")
 
 
-#: The rows of a mix, from a table ``docs(doc_id, source, words)``; used by the pipeline's SQL too.
+#: The rows of a mix, from a table ``docs(doc_id, source, words, tag)``.
 MIX_CTES = r"""
  keyed AS (
   SELECT *, CASE WHEN source IS NULL THEN '1' ELSE '0' || source END AS src,
@@ -66,7 +67,7 @@ MIX_CTES = r"""
 ), ranked AS (
   SELECT k.*, g.source_size, g.target, g.shift,
          CASE WHEN g.source_size > 0 THEN g.target / g.source_size ELSE 0.0 END AS rate,
-         row_number() OVER (PARTITION BY k.src ORDER BY k.cls, ((coalesce(doc_id, 0) % fan) + fan) % fan, words, doc_id NULLS LAST) AS place
+         row_number() OVER (PARTITION BY k.src ORDER BY k.cls, tag % fan, words, doc_id NULLS LAST, tag) AS place
   FROM keyed k JOIN cells c ON k.src = c.src AND k.cls = c.cls JOIN goals g ON k.src = g.src
 ), mixed AS (
   SELECT *, CAST(floor(shift + rate * place) - floor(shift + rate * (place - 1)) AS BIGINT) AS copies FROM ranked
@@ -76,7 +77,9 @@ MIX_CTES = r"""
 OP8_SQL = (
     r"""
 WITH docs AS (
-  SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS words FROM documents
+  SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS words,
+         CAST('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), '') || ':' || coalesce(text, '')), 1, 8) AS BIGINT) AS tag
+  FROM documents
 ),"""
     + MIX_CTES
     + "SELECT doc_id, words AS size, source_size, target, CAST(words * copies AS BIGINT) AS taken FROM mixed"
@@ -106,7 +109,7 @@ def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return audio.audio_features(read_table(spark, sf_dir, "documents"))
+    return audio.audio_features(read_table(spark, sf_dir, "documents"), keep_tensors=False)
 
 
 def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -149,7 +152,6 @@ WITH t(name, grams) AS (VALUES """
   FROM norm
 ), words AS (
   SELECT rid, p, string_split(p, ' ') AS w FROM (SELECT DISTINCT rid, p FROM parts)
-  WHERE regexp_matches(p, '(licen[cs]e|permission|warrant|redistribut|unencumbered|gnu|copyright|cc by|software|mozilla|holder)')
 ), grams AS (
   SELECT rid, p, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM words WHERE len(w) > 1
 ), dice AS (
@@ -164,7 +166,11 @@ FROM norm LEFT JOIN best ON norm.rid = best.rid
 """
 )
 
-OP9_SQL = r"""
+def _place_sql(turn: str) -> str:
+    return f"(CASE WHEN {turn} >= 0 THEN lpad(CAST({turn} AS VARCHAR), 19, '0') ELSE '-' || lpad(CAST(CAST({turn} AS HUGEINT) + 9223372036854775808 AS VARCHAR), 19, '0') END)"
+
+
+_OP9 = r"""
 WITH RECURSIVE m AS (
   SELECT conv_id AS conv, turn, role, coalesce(text, '') AS text, regexp_matches(coalesce(text, ''), '(?m)^[ 	]*>') AS has FROM conversations
 ), q AS (
@@ -202,20 +208,21 @@ WITH RECURSIVE m AS (
 ), up AS (
   SELECT conv, turn, min(top.f) AS up FROM links WHERE top IS NOT NULL GROUP BY conv, turn
 ), walk AS (
-  SELECT conv, turn, up AS top_turn, lpad(CAST(up AS VARCHAR), 10, '0') || '/' || lpad(CAST(turn AS VARCHAR), 10, '0') AS path FROM up
+  SELECT conv, turn, up AS top_turn, place(up) || '/' || place(turn) AS path FROM up
   UNION ALL
-  SELECT walk.conv, walk.turn, up.up, lpad(CAST(up.up AS VARCHAR), 10, '0') || '/' || walk.path FROM walk JOIN up ON walk.conv = up.conv AND walk.top_turn = up.turn
+  SELECT walk.conv, walk.turn, up.up, place(up.up) || '/' || walk.path FROM walk JOIN up ON walk.conv = up.conv AND walk.top_turn = up.turn
 ), ends AS (
   SELECT conv, turn, min(top_turn) AS root, max_by(path, length(path)) AS path FROM walk GROUP BY conv, turn
 )
 SELECT m.conv AS conv_id, m.turn, m.role, CASE WHEN has THEN own.own ELSE m.text END AS own_text,
        coalesce(n_quotes, 0) AS n_quotes, coalesce(n_linked, 0) AS n_linked, coalesce(max_level, 0) AS max_level, top.f AS parent_turn,
        CASE WHEN m.conv IS NOT NULL THEN coalesce(root, m.turn) END AS root_turn,
-       CASE WHEN m.conv IS NOT NULL THEN coalesce(ends.path, lpad(CAST(m.turn AS VARCHAR), 10, '0')) END AS reply_path
+       CASE WHEN m.conv IS NOT NULL THEN coalesce(ends.path, place(m.turn)) END AS reply_path
 FROM m LEFT JOIN own ON m.conv IS NOT DISTINCT FROM own.conv AND m.turn IS NOT DISTINCT FROM own.turn AND m.text = own.text
 LEFT JOIN links ON m.conv = links.conv AND m.turn = links.turn AND m.text = links.text
 LEFT JOIN ends ON m.has AND m.conv = ends.conv AND m.turn = ends.turn
 """
+OP9_SQL = re.sub(r"place\(([a-z.]+)\)", lambda m: _place_sql(m[1]), _OP9)
 
 QUERIES = {
     "op1_exact_dedup": op1_exact_dedup,

@@ -38,7 +38,8 @@ def link_quotes(messages: DataFrame, conv_col: str = "conv_id", turn_col: str =
     it is where nothing is quoted; null counts as empty). ``parent_turn`` is null where no level-1 quotation has an earlier
     original; ``reply_path`` lists the zero-padded turns from the root to the message, so that sorting by it
     puts every reply after its parent. Rows with a null conversation or turn are never linked, and have no
-    path. Repeated rows give equal rows; of two texts with one turn, the first parent counts for the path.
+    path. Repeated rows give equal rows; of two texts with one turn, the first parent counts for the path; of units of one
+    length the one from the latest turn links. A path is as long as its chain of replies, as its rows name every ancestor. An empty table gives no row.
     """
     base = messages.select(F.col(conv_col).alias("conv"), F.col(turn_col).cast("long").alias("turn"), F.col(role_col).alias("role"), text_of(text_col).alias("text"))
     has = F.col("text").rlike(_QUOTED)
@@ -101,4 +102,7 @@ def link_quotes(messages: DataFrame, conv_col: str = "conv_id", turn_col: str =
 
 
 def _pad(col: str) -> Column:
-    return F.lpad(F.col(col).cast("string"), 10, "0")
+    """A turn as text that sorts as the number does, for every 64-bit number."""
+    c = F.col(col)
+    below = (c.cast("decimal(20,0)") + F.lit(9223372036854775807) + 1).cast("string")
+    return F.when(c >= 0, F.lpad(c.cast("string"), 19, "0")).otherwise(F.concat(F.lit("-"), F.lpad(below, 19, "0")))
