@@ -1,7 +1,7 @@
 """The corpus pipeline: good documents, each text once, mixed to target weights, as token ids.
 
 Every stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept. ``run``
-writes each stage as Parquet in the shared folder and reads it back for the next one.
+writes each stage as Parquet in the shared folder, reads it back for the next one, and drops the stage's own scratch tables.
 """
 
 from __future__ import annotations
@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from overlapgraph.llm import bpe, exact_dedup, mixing, probminhash, quality
-from overlapgraph.llm.common import materialise, read_table
+from overlapgraph.llm.common import drop_scratch, materialise, read_table, scratch_mark
 from overlapgraph.llm.queries import bpe_path
 
 
@@ -53,5 +53,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
+        mark = scratch_mark()
         docs = materialise(stage(spark, docs, sf_dir), "pipeline-" + name.split(" ")[0])
+        drop_scratch(spark, mark, (docs,))
     return STAGES[-1][1](spark, docs, sf_dir)
