@@ -178,8 +178,9 @@ def _shingle_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
         for a, b in tv.blocks(texts):
             doc, shingle, count = shingle_sets(texts[a:b])
             w = weights(count)
-            share = w / np.bincount(doc, weights=w, minlength=b - a)[doc]
-            yield pa.RecordBatch.from_arrays([pa.array(k[a:b][doc]), pa.array(comp[a:b][doc]), pa.array(share), pa.array(shingle.view(np.int64))], ["k", "comp", "p", "s"])
+            total, n = np.bincount(doc, weights=w, minlength=b - a)[doc], np.bincount(doc, minlength=b - a)[doc]
+            cols = [pa.array(k[a:b][doc]), pa.array(comp[a:b][doc]), pa.array(n.astype(np.int64)), pa.array(total), pa.array(w), pa.array(shingle.view(np.int64))]
+            yield pa.RecordBatch.from_arrays(cols, ["k", "comp", "n", "w", "a", "s"])
 
 
 #: Up to this many ids or keys (at most 40 bytes each) are broadcast; beyond it the joins shuffle.
@@ -218,21 +219,25 @@ def _close_pairs(open_: DataFrame, texts: DataFrame, similarity: float) -> DataF
     up to the point where less than 2s/(1+s) of its weight follows, and those of the second up to the
     point where less than s follows, have a member in common. Texts whose first shingles are their own meet nobody.
     """
-    schema = "k long, comp long, p double, s long"
+    schema = "k long, comp long, n long, w double, a double, s long"
     few = texts.join(bounded_broadcast(open_, BROADCAST_ROWS), "k").select("k", "comp", "text")
     sets = materialise(few.mapInArrow(_shingle_batches, schema), "nd-shingles")
     shared = sets.groupBy("s").agg(F.count(F.lit(1)).alias("c"), F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("s", "c")
     shared = bounded_broadcast(materialise(shared, "nd-common"), BROADCAST_ROWS)
-    # a window holds the shingles of one text; ``rest`` is the share of this shingle and all that follow it
-    rest = F.sum("p").over(Window.partitionBy("k").orderBy(F.desc("c"), F.desc("s")).rowsBetween(Window.unboundedPreceding, 0))
-    first = sets.join(shared, "s").withColumn("rest", rest).where(F.col("rest") >= similarity - EPS)
-    first = materialise(first.select("k", "comp", "s", "rest"), "nd-prefix")
+    # a window holds the shingles of one text; ``rest`` and ``left`` are the share and number of this shingle and all that follow it
+    on = Window.partitionBy("k").orderBy(F.desc("c"), F.desc("s")).rowsBetween(Window.unboundedPreceding, 0)
+    first = sets.join(shared, "s").select("k", "comp", "n", "w", "s", (F.sum("a").over(on) / F.col("w")).alias("rest"), F.count(F.lit(1)).over(on).alias("left"))
+    first = materialise(first.where(F.col("rest") >= similarity - EPS), "nd-prefix")
     most = 2 * similarity / (1 + similarity)
     x, y = first.where(F.col("rest") >= most - EPS).alias("x"), first.alias("y")
+    # at the first common shingle no more than ``left`` members of either are common; all but n of a weight w are extra weight of some
+    both = F.least("x.left", "y.left")
+    o, o2 = (F.least(F.col(f"{t}.rest"), (F.col(f"{t}.w") - F.col(f"{t}.n") + both) / F.col(f"{t}.w")) for t in "xy")
     meet = (
         (F.col("x.s") == F.col("y.s"))
         & (F.col("x.comp") != F.col("y.comp"))
-        & (1 / F.col("x.rest") + 1 / F.col("y.rest") <= 1 + 1 / similarity + EPS)
+        & ((F.col("y.rest") < most - EPS) | (F.col("x.k") < F.col("y.k")))
+        & (1 / o + 1 / o2 <= 1 + 1 / similarity + EPS)
     )
     return x.join(y, meet).select(F.least("x.k", "y.k").alias("lo"), F.greatest("x.k", "y.k").alias("hi")).distinct()
 
