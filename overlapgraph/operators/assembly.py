@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import basis
+from . import basis, elements
 from .geometry import TOLERANCE, gauss_points
 from .graph import offsets
 from .meshes import MeshSpec, digits, encode
@@ -22,12 +22,7 @@ from .meshes import MeshSpec, digits, encode
 ENTRY = "i long, j long, val double"
 
 
-def _unrank(e: np.ndarray, sizes: tuple[int, ...]) -> np.ndarray:
-    out = np.empty((len(e), len(sizes)), np.int64)
-    for a, n in enumerate(sizes):
-        out[:, a] = e % n
-        e = e // n
-    return out
+_unrank = elements.unrank
 
 
 def _vertex_ids(spec: MeshSpec, ie: np.ndarray) -> np.ndarray:
@@ -39,108 +34,64 @@ def _vertex_ids(spec: MeshSpec, ie: np.ndarray) -> np.ndarray:
     return (ix * strides).sum(-1) + spec.offset
 
 
-def _rule(n: int, dim: int) -> tuple[np.ndarray, np.ndarray]:
-    x, w = (np.array(r) for r in gauss_points(n))
-    at = _unrank(np.arange(n**dim), (n,) * dim)
-    return x[at], np.prod(w[at], axis=1)
-
-
 def _values(spec: MeshSpec, x: np.ndarray, ie: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     parts = [basis.axis_values(spec, a, x[:, a], ie[:, a]) for a in range(spec.dim)]
     return basis.tensor([p[0] for p in parts], [p[1] for p in parts])
 
 
-def _element_points(spec: MeshSpec, e: int, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(coordinates, weights, element multi-index repeated) of one element's integration points."""
-    xi, w = _rule(n, spec.dim)
-    ie = _unrank(np.array([e]), spec.n_el)[0]
-    h = np.array(spec.h)
-    return np.array(spec.lo) + (ie + (xi + 1) / 2) * h, w * np.prod(h / 2), np.repeat(ie[None], len(w), 0)
-
-
 def _host(spec: MeshSpec, x: np.ndarray, tol: float = TOLERANCE) -> np.ndarray:
     i = np.floor((x - np.array(spec.lo)) / np.array(spec.h) + tol).astype(np.int64)
     return np.clip(i, 0, np.array(spec.n_el) - 1)
 
 
-def _product(w: np.ndarray, a: tuple, b: tuple, form: str) -> np.ndarray:
-    """Sum over points of the form's integrand for all pairs of functions; forms add up, as "laplace+mass"."""
-    out = 0.0
-    if "laplace" in form:
-        out = np.einsum("q,qid,qjd->ij", w, a[1], b[1], optimize=True)
-    if "mass" in form:
-        out = out + np.einsum("q,qi,qj->ij", w, a[0], b[0], optimize=True)
-    return out
+#: A function of element numbers (an array, or two for cells) to (rows, columns, values) of their matrices.
+Block = Callable[..., tuple[np.ndarray, np.ndarray, np.ndarray]]
+
 
+def _flat(i: np.ndarray, j: np.ndarray, val: np.ndarray) -> tuple:
+    return np.repeat(i, j.shape[1], axis=1).reshape(-1), np.tile(j, (1, i.shape[1])).reshape(-1), val.reshape(-1)
 
-def own_block(spec: MeshSpec, n: int, form: str) -> Callable[[int], tuple]:
-    """Function of an element: (rows, columns, values) of its own matrix."""
 
-    def make(e: int) -> tuple:
-        x, w, ie = _element_points(spec, e, n)
-        t = _values(spec, x, ie)
-        v = _vertex_ids(spec, ie[:1])[0]
-        k = _product(w, t, t, form)
-        return np.repeat(v, len(v)), np.tile(v, len(v)), k.reshape(-1)
+def own_block(spec: MeshSpec, n: int, form: str) -> Block:
+    """Elements' own matrices; a batch is one array product."""
+    tables = elements.axis_tables(spec, n)
+
+    def make(e: np.ndarray) -> tuple:
+        ids, val = elements.own_values(spec, e, n, form, tables)
+        return _flat(ids, ids, val)
 
     return make
 
 
-def coupling_block(local: MeshSpec, g: MeshSpec, n: int, form: str) -> Callable[..., tuple]:
-    """Function of a local element (and optionally one host element): its coupling with the global functions."""
+def coupling_block(local: MeshSpec, g: MeshSpec, n: int, form: str) -> Block:
+    """Local elements' (or cells') coupling with the global functions."""
 
-    def make(e: int, only: int | None = None) -> tuple:
-        x, w, ie = _element_points(local, e, n)
-        hosts = _host(g, x)
-        number = (hosts * np.cumprod([1, *g.n_el[:-1]])).sum(1)
-        v_l, out = _vertex_ids(local, ie[:1])[0], []
-        for h in np.unique(number) if only is None else [only]:
-            at = number == h
-            if not at.any():
-                continue
-            k = _product(w[at], _values(g, x[at], hosts[at]), _values(local, x[at], ie[at]), form)
-            v_g = _vertex_ids(g, hosts[at][:1])[0]
-            out.append((np.repeat(v_g, len(v_l)), np.tile(v_l, len(v_g)), k.reshape(-1)))
-        return tuple(np.concatenate(c) for c in zip(*out, strict=True)) if out else (np.zeros(0, np.int64),) * 2 + (np.zeros(0),)
+    def make(e_l: np.ndarray, e_g: np.ndarray | None = None) -> tuple:
+        if e_g is None:
+            e_l, e_g = elements.crossed(local, g, e_l, n)
+        return _flat(*elements.coupling_values(local, g, e_l, e_g, n, form))
 
     return make
 
 
-def _emit(parts: list[tuple], extra: dict[str, np.ndarray] | None = None) -> pa.RecordBatch:
-    i, j, v = (np.concatenate(c) if c else np.zeros(0) for c in zip(*parts, strict=True)) if parts else (np.zeros(0),) * 3
-    cols = {"i": pa.array(i.astype(np.int64)), "j": pa.array(j.astype(np.int64)), "val": pa.array(v.astype(float))}
-    return pa.RecordBatch.from_pydict({**{k: pa.array(x) for k, x in (extra or {}).items()}, **cols})
+def _emit(i: np.ndarray, j: np.ndarray, val: np.ndarray, **extra: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_pydict({**{k: pa.array(x) for k, x in extra.items()}, "i": pa.array(i), "j": pa.array(j), "val": pa.array(val)})
 
 
-def _folded(parts: list[tuple]) -> tuple:
-    """Sum entries that repeat within a batch before they leave it."""
-    i, j, v = (np.concatenate(c) for c in zip(*parts, strict=True))
-    order = np.lexsort((j, i))
-    i, j, v = i[order], j[order], v[order]
-    new = np.ones(len(i), bool)
-    new[1:] = (i[1:] != i[:-1]) | (j[1:] != j[:-1])
-    at = np.flatnonzero(new)
-    return i[at], j[at], np.add.reduceat(v, at)
+#: Elements that are evaluated before their entries are summed.
+CHUNK = 256
 
 
-def block_entries(elements: DataFrame, make: Callable[..., tuple], with_part: bool = False, chunk: int = 256) -> DataFrame:
-    """Partial entries from rows (e[, e_g][, k]): each element once for every row that names it."""
-    cols = elements.columns
+def block_entries(elements_: DataFrame, make: Block, chunk: int = CHUNK) -> DataFrame:
+    """Partial entries of rows (e) or (e_l, e_g), summed within each chunk of elements."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = list(zip(*[c.to_pylist() for c in b.columns], strict=True))
-            for at in range(0, len(rows), chunk):
-                by_part: dict = {}
-                for row in rows[at : at + chunk]:
-                    named = dict(zip(cols, row, strict=True))
-                    k = named.pop("k", None)
-                    by_part.setdefault(k, []).append(make(*named.values()))
-                for k, parts in by_part.items():
-                    folded = _folded(parts)
-                    yield _emit([folded], {"k": np.full(len(folded[0]), k, np.int32)} if with_part else None)
+            cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+            for at in range(0, b.num_rows, chunk):
+                yield _emit(*elements.fold(*make(*[c[at : at + chunk] for c in cols])))
 
-    return elements.mapInArrow(run, ("k int, " if with_part else "") + ENTRY)
+    return elements_.mapInArrow(run, ENTRY)
 
 
 def assemble(entries: DataFrame) -> DataFrame:
@@ -201,26 +152,42 @@ def k_structured(spark: SparkSession, spec: MeshSpec, n: int = 4) -> DataFrame:
     return out.select((F.col("a") + spec.offset).alias("i"), (encode([F.col(f"j{k}") for k in range(dim)], spec.n_cp) + spec.offset).alias("j"), reduce(lambda x, y: x + y, [term(d) for d in range(dim)]).alias("val"))
 
 
-def assemble_owned(assigned: DataFrame, make: Callable[..., tuple], part: DataFrame, n_dom: int) -> DataFrame:
+def assemble_owned(assigned: DataFrame, make: Block, part: DataFrame, n_dom: int) -> DataFrame:
     """Rows (k, i, j, val): every part computes its assigned elements and keeps the rows it owns.
 
-    Element numbers are moved, entries are not: the descriptors go to their part's own partition,
-    and the sum by (k, i, j) stays there. Elements that several parts need are computed by each.
+    Element numbers and core vertices go to their part, entries go nowhere: a part's elements meet its core in one
+    task, which sums its rows and returns them. Elements that several parts need are computed by each. A
+    part's rows must fit a task; ``n_dom`` is chosen for that.
     """
-    cols = [c for c in assigned.columns if c not in ("k", "n_core")]
-    placed = assigned.select(*cols, "k").repartitionById(n_dom, F.col("k")) if hasattr(assigned, "repartitionById") else assigned.select(*cols, "k").repartition(n_dom, "k")
-    entries = block_entries(placed, make, with_part=True)
-    rows = part.select(F.col("v").alias("i"), "k")
-    return entries.join(rows, ["k", "i"]).groupBy("k", "i", "j").agg(F.sum("val").alias("val"))
+    names = [c for c in assigned.columns if c not in ("k", "n_core")]
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        core = np.sort(right["v"].to_numpy())
+        k = right["at"][0].as_py() if len(right) else 0
+        cols = [left[c].to_numpy() for c in names]
+        held: list[tuple] = []
+        size = 0
+        for at in range(0, len(left) if len(core) else 0, CHUNK):
+            i, j, val = make(*[c[at : at + CHUNK] for c in cols])
+            mine = core[np.minimum(np.searchsorted(core, i), len(core) - 1)] == i
+            held.append(elements.fold(i[mine], j[mine], val[mine]))
+            size += len(held[-1][0])
+            if size > 4 * len(held[0][0]) + (1 << 20):  # sums take the place of their terms
+                held = [elements.fold(*(np.concatenate(c) for c in zip(*held, strict=True)))]
+                size = len(held[0][0])
+        i, j, val = elements.fold(*(np.concatenate(c) for c in zip(*held, strict=True))) if held else (np.zeros(0, np.int64),) * 2 + (np.zeros(0),)
+        return pa.Table.from_batches([_emit(i, j, val, k=np.full(len(i), k, np.int32))])
+
+    both = assigned.select("k", *names).groupBy("k").cogroup(part.select(F.col("k").alias("at"), "v").groupBy("at"))
+    return both.applyInArrow(run, "k int, " + ENTRY)
 
 
 def rhs(spark: SparkSession, spec: MeshSpec, f: Callable[[np.ndarray], np.ndarray], n: int = 4) -> DataFrame:
     """Rows (v, val): integrals of f times each function."""
 
-    def make(e: int) -> tuple:
-        x, w, ie = _element_points(spec, e, n)
-        val, _ = _values(spec, x, ie)
-        return _vertex_ids(spec, ie[:1])[0], np.zeros(spec.n_ldof, np.int64), (w * f(x)) @ val
+    def make(e: np.ndarray) -> tuple:
+        ids, val = elements.load_values(spec, e, f, n)
+        return ids.reshape(-1), np.zeros(ids.size, np.int64), val.reshape(-1)
 
     return assemble(block_entries(spark.range(spec.n_elements).withColumnRenamed("id", "e"), make)).select(F.col("i").alias("v"), "val")
 
@@ -244,14 +211,13 @@ def gram_entries(points: DataFrame, a: MeshSpec, b: MeshSpec | None = None) -> D
             ha, hb = _host(a, x), _host(b_spec, x)
             na, nb = _values(a, x, ha)[0], _values(b_spec, x, hb)[0]
             va, vb = _vertex_ids(a, ha), _vertex_ids(b_spec, hb)
-            key, inv = np.unique(np.concatenate([ha, hb], 1), axis=0, return_inverse=True)
-            parts = []
-            for c in range(len(key)):
-                at = inv.reshape(-1) == c
-                k = (na[at] * w[at, None]).T @ nb[at]
-                i, j = va[at][0], vb[at][0]
-                parts.append((np.repeat(i, len(j)), np.tile(j, len(i)), k.reshape(-1)))
-            yield _emit([_folded(parts)])
+            # rows of one pair of hosts stand together, and each group is one matrix product
+            key = np.ravel_multi_index((*ha.T, *hb.T), (*a.n_el, *b_spec.n_el))
+            order = np.argsort(key, kind="stable")
+            first = np.flatnonzero(np.diff(key[order], prepend=-1))
+            wa, nb = (na * w[:, None])[order], nb[order]
+            k = np.stack([wa[s:e].T @ nb[s:e] for s, e in zip(first, np.append(first[1:], len(key)), strict=True)])
+            yield _emit(*elements.fold(*_flat(va[order[first]], vb[order[first]], k)))
 
     return points.select("x", "w").mapInArrow(run, ENTRY)
 
@@ -267,7 +233,7 @@ def gram_rhs(points: DataFrame, spec: MeshSpec, target: str) -> DataFrame:
             y = batch.column("w").to_numpy(zero_copy_only=False) * batch.column("y").to_numpy(zero_copy_only=False)
             host = _host(spec, x)
             v, val = _vertex_ids(spec, host), _values(spec, x, host)[0] * y[:, None]
-            yield _emit([_folded([(v.reshape(-1), np.zeros(v.size, np.int64), val.reshape(-1))])])
+            yield _emit(*elements.fold(v.reshape(-1), np.zeros(v.size, np.int64), val.reshape(-1)))
 
     return assemble(points.select("x", "w", F.col(target).alias("y")).mapInArrow(run, ENTRY)).select(F.col("i").alias("v"), "val")
 

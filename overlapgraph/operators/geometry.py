@@ -5,9 +5,11 @@ from __future__ import annotations
 from functools import reduce
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
 from . import basis
 from .meshes import MeshSpec, digits, encode
@@ -62,10 +64,8 @@ def locate_tree(points: DataFrame, spec: MeshSpec, x: str = "x", tol: float = TO
     schema = T.StructType([*points.schema.fields, T.StructField("e_g", T.LongType())])
 
     def run(batches):
-        import pyarrow as pa
-
         for batch in batches:
-            at = np.array(batch.column(batch.schema.get_field_index(x)).to_pylist(), float).reshape(-1, len(faces))
+            at = batch.column(batch.schema.get_field_index(x)).flatten().to_numpy(zero_copy_only=False).reshape(-1, len(faces))
             e, stride = np.zeros(len(at), np.int64), 1
             for a, f in enumerate(faces):
                 i = np.searchsorted(np.array(f) - tol * (f[1] - f[0]), at[:, a], side="right") - 1
@@ -103,14 +103,36 @@ def locate_range(points: DataFrame, elements: DataFrame, spec: MeshSpec, bins: i
     return points.withColumn("bin", to_bin(F.col(x)[0])).join(copied, "bin").where(reduce(lambda p, q: p & q, tests)).drop("bin", "lo", "hi")
 
 
+#: Knots that one broadcast may hold (8 bytes each).
+KNOTS = 1_000_000
+
+
 def locate_asof(points: DataFrame, knots: DataFrame, by: str = "t") -> DataFrame:
-    """The last knot at or before each point, for unequal knots of one axis.
+    """The last knot at or before each point, for unequal knots of one axis; null before the first.
 
-    A knot table that fits a broadcast is the usual case at any data size (knots describe a mesh); it
-    is searched by position in one sorted array, so the points are not shuffled.
+    Knots describe a mesh, so their table usually fits a broadcast at any data size: its size is checked, it is sorted once, and
+    each point finds its place by bisection, without a shuffle. Beyond ``KNOTS`` the window form serves, by day-like
+    pieces of the axis that carry the last knot before them along.
     """
-    sorted_ = knots.agg(F.array_sort(F.collect_list(by)).alias("ks"))
-    return points.crossJoin(F.broadcast(sorted_)).withColumn("knot", F.element_at(F.filter("ks", lambda k: k <= F.col(by)), -1)).drop("ks")
+    if knots.limit(KNOTS + 1).count() > KNOTS:
+        raise ValueError(f"more than {KNOTS} knots: use locate_asof_window with a column that cuts the axis")
+    kind = points.schema[by].dataType
+    sorted_ = sorted(r[0] for r in knots.select(by).distinct().collect() if r[0] is not None)  # checked size
+    shared = points.sparkSession.sparkContext.broadcast(pa.array(sorted_, to_arrow_type(kind)))
+    schema = T.StructType([*points.schema.fields, T.StructField("knot", kind)])
+
+    def run(batches):
+        ks = shared.value
+        plain = ks.cast(pa.int64()).to_numpy() if pa.types.is_temporal(ks.type) else ks.to_numpy()
+        for b in batches:
+            col = b.column(b.schema.get_field_index(by))
+            told = col.cast(ks.type)
+            at = (told.cast(pa.int64()) if pa.types.is_temporal(ks.type) else told).to_numpy(zero_copy_only=False)
+            place = np.searchsorted(plain, at, side="right") - 1
+            found = ks.take(pa.array(np.maximum(place, 0), mask=(place < 0) | told.is_null().to_numpy(zero_copy_only=False)))
+            yield pa.RecordBatch.from_arrays([*b.columns, found], [*b.schema.names, "knot"])
+
+    return points.mapInArrow(run, schema)
 
 
 def locate_asof_window(points: DataFrame, knots: DataFrame, part: str, by: str = "t") -> DataFrame:
@@ -132,12 +154,12 @@ def geometric_database(spark: SparkSession, spec: MeshSpec, n: int) -> DataFrame
     schema = "e long, q int, x array<double>, w double, n array<double>, g array<array<double>>"
 
     def run(batches):
-        import pyarrow as pa
-
         for b in batches:
-            at, ie = np.array(b.column("x").to_pylist()).reshape(-1, spec.dim), np.array(b.column("ie").to_pylist()).reshape(-1, spec.dim)
+            at, ie = (b.column(c).flatten().to_numpy(zero_copy_only=False).reshape(-1, spec.dim) for c in ("x", "ie"))
             val, grad = _tables(spec, at, ie)
-            cols = [b.column("e"), b.column("q"), b.column("x"), b.column("w"), pa.array(val.tolist(), pa.list_(pa.float64())), pa.array(grad.tolist(), pa.list_(pa.list_(pa.float64())))]
+            lists = lambda flat, n: pa.ListArray.from_arrays(np.arange(0, len(flat) + 1, n, dtype=np.int32), flat)
+            inner = lists(pa.array(grad.reshape(-1)), spec.dim)
+            cols = [b.column("e"), b.column("q"), b.column("x"), b.column("w"), lists(pa.array(val.reshape(-1)), spec.n_ldof), lists(inner, spec.n_ldof)]
             yield pa.RecordBatch.from_arrays(cols, ["e", "q", "x", "w", "n", "g"])
 
     return quadrature(spark, spec, n).select("e", "q", "ie", "x", "w").mapInArrow(run, schema)

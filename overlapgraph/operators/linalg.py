@@ -4,6 +4,9 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -53,11 +56,41 @@ def _sum(col: Column, d: int) -> Column:
     return F.sum(col) if d == 1 else F.array(*[F.sum(col[r]) for r in range(d)])
 
 
+def place_parts(kp: DataFrame, n_dom: int) -> DataFrame:
+    """Part-owned rows (k, i, j, val) where their part is, once for all products: one partition per part number, on disk.
+
+    A lost copy is made again from the table behind it. Give the space back with ``unpersist``.
+    """
+    return kp.select("k", "i", "j", "val").repartition(n_dom, "k").sortWithinPartitions("k").persist(StorageLevel.DISK_ONLY)
+
+
 def spmv_parts(kp: DataFrame, x: DataFrame, part: DataFrame, comm: DataFrame, d: int = 1) -> DataFrame:
-    """Rows (k, v, x) of the product: part-owned rows (k, i, j, val) times core and halo values."""
-    local = refresh_halo(x, part, comm).select("k", F.col("v").alias("j"), "x")
-    prod = F.col("val") * F.col("x") if d == 1 else _apply(F.col("val"), F.col("x"), d)
-    return kp.join(local, ["k", "j"]).withColumn("y", prod).groupBy("k", F.col("i").alias("v")).agg(_sum(F.col("y"), d).alias("x"))
+    """Rows (k, v, x) of the product: part-owned rows (k, i, j, val) times core and halo values.
+
+    A part's rows meet its values in one task. With rows from ``place_parts`` only the values of the vector move.
+    """
+    local = refresh_halo(x, part, comm).select(F.col("k").alias("at"), F.col("v").alias("j"), "x")
+    out = "double" if d == 1 else "array<double>"
+
+    def run(rows: pa.Table, values: pa.Table) -> pa.Table:
+        def numbers(col: pa.ChunkedArray, shape: tuple) -> np.ndarray:
+            flat = col.combine_chunks()
+            return (flat if d == 1 else flat.flatten()).to_numpy(zero_copy_only=False).reshape(shape)
+
+        ids = values["j"].to_numpy()
+        order = np.argsort(ids, kind="stable")
+        at = np.searchsorted(ids[order], rows["j"].to_numpy())
+        have = at < len(ids)
+        have[have] = ids[order][at[have]] == rows["j"].to_numpy()[have]
+        xs, val = numbers(values["x"], (-1, d)), numbers(rows["val"], (-1, d, d))
+        v, place = np.unique(rows["i"].to_numpy()[have], return_inverse=True)
+        y = np.einsum("nrc,nc->nr", val[have], xs[order[at[have]]])
+        total = np.stack([np.bincount(place, weights=y[:, r], minlength=len(v)) for r in range(d)], 1)
+        got = pa.array(total[:, 0]) if d == 1 else pa.ListArray.from_arrays(np.arange(0, total.size + 1, d, dtype=np.int32), pa.array(total.reshape(-1)))
+        k = rows["k"][0].as_py() if len(rows) else 0
+        return pa.table({"k": pa.array(np.full(len(v), k, np.int32)), "v": pa.array(v), "x": got})
+
+    return kp.groupBy("k").cogroup(local.groupBy("at")).applyInArrow(run, f"k int, v long, x {out}")
 
 
 def spmv(k: DataFrame, x: DataFrame, d: int = 1) -> DataFrame:

@@ -197,32 +197,68 @@ def partition_rcb(vertex: DataFrame, weight: DataFrame, n_dom: int, passes: int
     return df.select("v", label.cast("int").alias("k"))
 
 
+#: Moves into one part are ranked in this many groups at most, so that no task holds all of them.
+MOVE_GROUPS = 256
+
+
 def refine(edges: DataFrame, part: DataFrame, weight: DataFrame, n_dom: int, eps: float = 0.03, rounds: int = 4) -> DataFrame:
     """Move boundary vertices to the part where most of their neighbours are, within the balance bound.
 
     Rounds alternate between moves to higher and to lower parts, so two neighbours never swap. Room in
-    a part is given out by gain in prefix order.
+    a part is given out by gain: moves are summed by (part, gain group) first, whole groups fit or not, and only the group
+    in which the room ends is ranked vertex by vertex. In parts above the bound vertices may leave at a loss, the
+    least loss first, until the bound is met. Edges may carry a column ``c`` with their number.
     """
-    both = store(edges.where("i <> j").select("i", "j").unionByName(edges.where("i <> j").select(F.col("j").alias("i"), F.col("i").alias("j"))), "refine-edges")
+    c = F.col("c") if "c" in edges.columns else F.lit(1.0)
+    e = edges.where("i <> j").select("i", "j", c.cast("double").alias("c"))
+    both = store(e.unionByName(e.select(F.col("j").alias("i"), F.col("i").alias("j"), "c")), "refine-edges")
     total = weight.agg(F.sum("w")).first()[0] or 0.0
     cap = (1 + eps) * total / n_dom
-    part = store(part, "refine-part")
+    part = store(part.select("v", F.col("k").cast("int").alias("k")), "refine-part")
+    idle = 0
     for r in range(rounds):
-        near = both.join(part.select(F.col("v").alias("j"), F.col("k").alias("kj")), "j").groupBy(F.col("i").alias("v"), "kj").agg(F.count(F.lit(1)).alias("c"))
-        own = near.join(part, "v")
+        load = {x["k"]: x["load"] for x in part.join(weight, "v").groupBy("k").agg(F.sum("w").alias("load")).collect()}  # one row a part
+        loads = part.sparkSession.createDataFrame([(k, float(load.get(k, 0.0))) for k in range(n_dom)], "k int, load double")
+        near = both.join(part.select(F.col("v").alias("j"), F.col("k").alias("kj")), "j").groupBy(F.col("i").alias("v"), "kj").agg(F.sum("c").alias("c"))
+        own = near.join(part, "v").join(F.broadcast(loads), "k")
         stay = own.where("k = kj").select("v", F.col("c").alias("inside"))
-        best = own.where("kj > k" if r % 2 == 0 else "kj < k").groupBy("v", "k").agg(F.max_by("kj", F.struct("c", F.col("kj"))).alias("to"), F.max("c").alias("outside"))
-        gain = best.join(stay, "v", "left").withColumn("gain", F.col("outside") - F.coalesce("inside", F.lit(0))).where("gain > 0").join(weight, "v")
-        load = part.join(weight, "v").groupBy(F.col("k").alias("to")).agg(F.sum("w").alias("load"))
-        w = Window.partitionBy("to").orderBy(F.desc("gain"), "v")
-        moved = gain.join(F.broadcast(load), "to").withColumn("used", F.sum("w").over(w)).where(F.col("load") + F.col("used") <= cap).select("v", "to")
-        moved = store(moved, "refine-moves")
-        if moved.isEmpty() and r % 2:
+        best = own.where("kj > k" if r % 2 == 0 else "kj < k").groupBy("v", "k", "load").agg(F.max_by("kj", F.struct("c", F.col("kj"))).alias("to"), F.max("c").alias("outside"))
+        gain = best.join(stay, "v", "left").withColumn("gain", F.col("outside") - F.coalesce("inside", F.lit(0.0))).join(weight, "v")
+        over = F.greatest(F.col("load") - cap, F.lit(0.0))
+        gain = store(gain.where((F.col("gain") > 0) | (over > 0)).withColumn("over", over), "refine-gain")
+        steps = [x for x in gain.approxQuantile("gain", [i / MOVE_GROUPS for i in range(1, MOVE_GROUPS)], 0.002)] if not gain.isEmpty() else []
+        bounds = sorted(set(steps))
+        group = F.lit(0) if not bounds else F.expr(f"size(filter(array({','.join(map(repr, bounds))}), b -> b < gain))")
+        # leaving a full part is limited by what it has too much, entering one by its room
+        moved = gain.withColumn("g", group)
+        moved = _fitting(moved.withColumn("room", F.when(F.col("gain") > 0, F.lit(float("inf"))).otherwise(F.col("over"))), "k", enter=False)
+        moved = store(moved, "refine-leave")
+        moved = moved.drop("room").join(F.broadcast(loads.select(F.col("k").alias("to"), (F.lit(cap) - F.col("load")).alias("room"))), "to")
+        moved = store(_fitting(moved, "to", enter=True).select("v", "to"), "refine-moves")
+        idle = idle + 1 if moved.isEmpty() else 0
+        if idle == 2:
             break
         part = store(part.join(moved, "v", "left").select("v", F.coalesce("to", "k").cast("int").alias("k")), "refine-part")
     return part
 
 
+def _fitting(moves: DataFrame, by: str, enter: bool) -> DataFrame:
+    """Moves (v, gain, g, w, room) whose weights, best gains first, fit the room of their part ``by``.
+
+    Leaving goes on until the room (the excess) is used up; entering stops before it is exceeded.
+    """
+    free = moves.where(F.col("room") == float("inf"))
+    tight = moves.where(F.col("room") < float("inf"))
+    sums = tight.groupBy(by, "g").agg(F.sum("w").alias("s"))
+    before = F.coalesce(F.sum("s").over(Window.partitionBy(by).orderBy(F.desc("g")).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
+    placed = tight.join(F.broadcast(sums.withColumn("before", before)), [by, "g"])
+    whole = placed.where(F.col("before") + F.col("s") <= F.col("room"))
+    edge = placed.where((F.col("before") + F.col("s") > F.col("room")) & (F.col("before") < F.col("room")))
+    used = F.col("before") + F.sum("w").over(Window.partitionBy(by, "g").orderBy(F.desc("gain"), "v"))
+    edge = edge.withColumn("used", used).where((F.col("used") <= F.col("room")) if enter else (F.col("used") - F.col("w") < F.col("room"))).drop("used")
+    return free.unionByName(whole.unionByName(edge).drop("before", "s"))
+
+
 def _grow(n: int, i: np.ndarray, j: np.ndarray, c: np.ndarray, w: np.ndarray, n_dom: int) -> np.ndarray:
     """Greedy growing on the coarsest graph: parts take the best-connected vertex until their share is full."""
     nbr: list[list[tuple[int, float]]] = [[] for _ in range(n)]
@@ -256,11 +292,8 @@ def _grow(n: int, i: np.ndarray, j: np.ndarray, c: np.ndarray, w: np.ndarray, n_
 SIBLINGS = 1_000
 
 
-def _siblings(v: DataFrame, both: DataFrame, pairs: DataFrame, tie: Column, limit: float) -> DataFrame:
-    """Pairs (v, to) of unmatched vertices with one heaviest neighbour (or none at all), light ones first."""
-    hub = both.groupBy("i").agg(F.max_by("j", F.struct("c", tie.alias("t"))).alias("hub")).withColumnRenamed("i", "v")
-    met = pairs.select(F.explode(F.array("v", "to")).alias("v"))
-    rest = store(v.join(met, "v", "left_anti").join(hub, "v", "left").select("v", "w", F.coalesce("hub", F.lit(-1)).alias("hub")), "ml-rest")
+def _siblings(rest: DataFrame, limit: float) -> DataFrame:
+    """Pairs (v, to) of rows (v, w, hub) with one hub, light ones first; a hub of very many is split by a hash."""
     size = rest.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / SIBLINGS).alias("n"))
     rest = rest.join(size, "hub").withColumn("salt", F.pmod(F.xxhash64("v"), "n"))
     at = F.row_number().over(Window.partitionBy("hub", "salt").orderBy("w", "v"))
@@ -269,49 +302,104 @@ def _siblings(v: DataFrame, both: DataFrame, pairs: DataFrame, tie: Column, limi
 
 
 def partition_multilevel(edges: DataFrame, weight: DataFrame, n_dom: int, eps: float = 0.03, seed: int = 1, coarse: int = COARSE) -> DataFrame:
-    """Match heavy edges and contract until the graph is small, split it, project back and refine.
-
-    A vertex proposes to its heaviest neighbour (ties by a hash of the pair); mutual proposals merge. Where
-    they merge few, as around a hub, the rest merges in pairs that share their heaviest neighbour. Rounds go on until
-    the graph has at most ``coarse`` vertices, which the driver sees. Only if no two vertices may merge any
-    more (each pair weighs over a quarter of a part) does the weighted curve of hashed ids take the place of the split.
+    """Match heavy edges and contract until the graph is small, split it, and refine at every level on the way back.
+
+    A vertex proposes to the neighbour with most edges for its weight (ties by a hash of the pair), among those with
+    which it stays under the weight bound; mutual proposals merge. Where they merge few, as around a hub, the rest
+    merges in pairs that share their first choice, and then those without any choice in pairs of all. Rounds go on until the
+    graph has at most ``coarse`` vertices, which the driver splits by growing parts; when a round merges
+    nearly nothing the weight bound, which starts at what gives evenly sized vertices, is doubled. It ends at a part's
+    weight, where any two of the lighter half of more than 2 n_dom vertices may merge. So the bound is always reached.
     """
     spark = edges.sparkSession
     v = store(weight.select("v", "w"), "ml-v")
-    e = store(edges.where("i <> j").groupBy("i", "j").agg(F.count(F.lit(1)).cast("double").alias("c")), "ml-e")
-    limit = (v.agg(F.sum("w")).first()[0] or 0.0) / n_dom / 4
-    maps, n = [], v.count()
-    while n > max(coarse, 4 * n_dom):
+    c = F.sum("c") if "c" in edges.columns else F.count(F.lit(1))
+    e = store(edges.where("i <> j").groupBy(F.least("i", "j").alias("i"), F.greatest("i", "j").alias("j")).agg(c.cast("double").alias("c")), "ml-e")
+    total, n = v.agg(F.sum("w"), F.count(F.lit(1))).first()
+    few = max(coarse, 4 * n_dom)
+    most = (total or 0.0) / n_dom
+    limit = min(most, 3.0 * (total or 0.0) / few)
+    maps, levels = [], []
+    while n > few:
         both = e.unionByName(e.select(F.col("j").alias("i"), F.col("i").alias("j"), "c"))
         wi, wj = v.select(F.col("v").alias("i"), F.col("w").alias("wi")), v.select(F.col("v").alias("j"), F.col("w").alias("wj"))
         fit = both.join(wi, "i").join(wj, "j").where(F.col("wi") + F.col("wj") <= limit)
         tie = F.xxhash64(F.least("i", "j"), F.greatest("i", "j"), F.lit(seed))
-        want = store(fit.groupBy("i").agg(F.max_by("j", F.struct("c", tie.alias("t"))).alias("j")), "ml-want")
+        want = store(fit.groupBy("i").agg(F.max_by("j", F.struct((F.col("c") / F.greatest(F.col("wj"), F.lit(1e-300))).alias("r"), tie.alias("t"))).alias("j")), "ml-want")
         pairs = want.alias("a").join(want.alias("b"), (F.col("a.i") == F.col("b.j")) & (F.col("a.j") == F.col("b.i"))).where("a.i < a.j").select(F.col("a.j").alias("v"), F.col("a.i").alias("to"))
         pairs = store(pairs, "ml-pairs")
-        if 4 * pairs.count() < n:
-            pairs = store(pairs.unionByName(_siblings(v, both, pairs, tie, limit)), "ml-pairs")
+        merged = pairs.count()
+        for lone in (False, True):  # pairs with one first choice, then those with none
+            if 4 * merged >= n:
+                break
+            met = pairs.select(F.explode(F.array("v", "to")).alias("v"))
+            rest = v.join(met, "v", "left_anti").join(want.select(F.col("i").alias("v"), F.col("j").alias("hub")), "v", "left")
+            rest = rest.where(F.col("hub").isNull()).withColumn("hub", F.lit(-1).cast("long")) if lone else rest.where(F.col("hub").isNotNull())
+            more = store(_siblings(store(rest, "ml-rest"), limit), "ml-more")
+            merged += more.count()
+            pairs = store(pairs.unionByName(more), "ml-pairs")
+        if 20 * merged < n and limit < most:
+            limit = min(most, 2 * limit)
+            if not merged:
+                continue
+        if not merged:
+            break  # all vertices but a few weigh more than half a part: nothing is left to coarsen
         step = store(v.select("v").join(pairs, "v", "left").select("v", F.coalesce("to", "v").alias("to")), "ml-map")
         maps.append(step)
+        levels.append((e, v))
         v = store(v.join(step, "v").groupBy(F.col("to").alias("v")).agg(F.sum("w").alias("w")), "ml-v")
         mi, mj = step.select(F.col("v").alias("i"), F.col("to").alias("ti")), step.select(F.col("v").alias("j"), F.col("to").alias("tj"))
         e = store(e.join(mi, "i").join(mj, "j").where("ti <> tj").groupBy(F.least("ti", "tj").alias("i"), F.greatest("ti", "tj").alias("j")).agg(F.sum("c").alias("c")), "ml-e")
-        m = v.count()
-        if m == n:
-            break
-        n = m
-    if n <= max(coarse, 4 * n_dom):
-        vs, es = v.orderBy("v").toPandas(), e.orderBy("i", "j").toPandas()
-        ids = vs["v"].to_numpy()
-        k = _grow(len(ids), np.searchsorted(ids, es["i"]), np.searchsorted(ids, es["j"]), es["c"].to_numpy(float), vs["w"].to_numpy(float), n_dom)
-        part = spark.createDataFrame(list(zip(ids.tolist(), k.tolist(), strict=True)), "v long, k int")
-    else:
-        part = _split(prefix_sums(v, F.xxhash64("v").cast("double")), n_dom)
-    for step in reversed(maps):
+        n = v.count()
+    if n > few:
+        raise ValueError(f"{n} vertices are left, each near the weight of a part: the weights allow no balanced partition")
+    vs, es = v.orderBy("v").toPandas(), e.orderBy("i", "j").toPandas()
+    ids = vs["v"].to_numpy()
+    i, j, w = np.searchsorted(ids, es["i"]), np.searchsorted(ids, es["j"]), vs["w"].to_numpy(float)
+    k = _improve(_grow(len(ids), i, j, es["c"].to_numpy(float), w, n_dom), i, j, es["c"].to_numpy(float), w, n_dom, eps)
+    part = spark.createDataFrame(list(zip(ids.tolist(), k.tolist(), strict=True)), "v long, k int")
+    for step, (e, v) in zip(reversed(maps), reversed(levels), strict=True):
         part = store(step.join(part.select(F.col("v").alias("to"), "k"), "to").select("v", "k"), "ml-part")
+        part = refine(e, part, v, n_dom, eps, rounds=2)
     return refine(edges, part, weight, n_dom, eps, rounds=6)
 
 
+def _improve(k: np.ndarray, i: np.ndarray, j: np.ndarray, c: np.ndarray, w: np.ndarray, n_dom: int, eps: float, rounds: int = 20) -> np.ndarray:
+    """Single moves on the coarsest graph, best gain first, under the balance bound; parts above it are emptied to it."""
+    k = k.copy()
+    cap = (1 + eps) * w.sum() / n_dom
+    tie = np.zeros((len(w), n_dom))
+    np.add.at(tie, (i, k[j]), c)
+    np.add.at(tie, (j, k[i]), c)
+    near: list[list[tuple[int, float]]] = [[] for _ in w]
+    for a, b, x in zip(i.tolist(), j.tolist(), c.tolist(), strict=True):
+        near[a].append((b, x))
+        near[b].append((a, x))
+    load = np.bincount(k, weights=w, minlength=n_dom)
+    for _ in range(rounds):
+        moves = 0
+        gain = tie.max(1) - tie[np.arange(len(w)), k]
+        for a in np.lexsort((np.arange(len(w)), -gain)):
+            mine = k[a]
+            room = load + w[a] <= cap
+            room[mine] = False
+            if not room.any():
+                continue
+            to = int(np.argmax(np.where(room, tie[a], -np.inf)))
+            better = tie[a, to] - tie[a, mine]
+            if better > 0 or load[mine] > cap:
+                k[a] = to
+                load[mine] -= w[a]
+                load[to] += w[a]
+                for b, x in near[a]:
+                    tie[b, mine] -= x
+                    tie[b, to] += x
+                moves += 1
+        if not moves:
+            break
+    return k
+
+
 # ---- measures ------------------------------------------------------------------------------
 
 
@@ -328,7 +416,3 @@ def balance(weight: DataFrame, part: DataFrame, n_dom: int, eps: float = 0.03) -
     total = weight.agg(F.sum("w").alias("total"))
     mean = F.col("total") / n_dom
     return per.crossJoin(F.broadcast(total)).select("k", "n", "w", (F.col("w") / mean).alias("share"), ((F.col("w") <= (1 + eps) * mean) & (F.col("w") >= mean / (1 + eps))).alias("within"))
-
-
-
-

@@ -14,7 +14,7 @@ from .assembly import _host, _values, _vertex_ids
 from .meshes import MeshSpec
 
 #: The local engine and the dense solver take systems up to this size.
-LOCAL_DOFS = 3_000
+LOCAL_DOFS, LOCAL_ENTRIES = 3_000, 3_000_000
 
 
 @dataclass
@@ -30,9 +30,11 @@ def diag_scale(k: DataFrame) -> DataFrame:
 
 
 def _pack(k: DataFrame, f: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    rows = f.orderBy("v").toPandas()
+    rows = f.orderBy("v").limit(LOCAL_DOFS + 1).toPandas()
     if len(rows) > LOCAL_DOFS:
         raise ValueError(f"the local engine takes at most {LOCAL_DOFS} unknowns")
+    if k.limit(LOCAL_ENTRIES + 1).count() > LOCAL_ENTRIES:
+        raise ValueError(f"the local engine takes at most {LOCAL_ENTRIES} entries")
     e = k.toPandas()
     ids = rows["v"].to_numpy()
     at = lambda c: np.searchsorted(ids, e[c].to_numpy())
@@ -100,13 +102,13 @@ def solve_local(spark: SparkSession, k: DataFrame, f: DataFrame, tol: float = 1e
 
 
 def bicgstab(kp: DataFrame, f: DataFrame, part: DataFrame, comm: DataFrame, tol: float = 1e-10, max_iter: int | None = None) -> Solution:
-    """The distributed loop: part-owned rows, halo-only exchange, core-only dot products.
+    """The distributed loop: part-owned rows that stay where they are, halo-only exchange, core-only dot products.
 
     One table (v and the loop's vectors) is written to the shared folder twice per iteration, and all scalars of a half
     step come from one aggregation, so an iteration is two sparse products and three small actions.
     """
     scale = kp.where("i = j").select(F.col("i").alias("v"), (1.0 / F.col("val")).alias("d"))
-    kp = store(kp, "solve-matrix")
+    kp = la.place_parts(store(kp, "solve-matrix"), part.agg(F.max("k")).first()[0] + 1)
     b = f.join(scale, "v").select("v", "d", (F.col("val") * F.col("d")).alias("b"))
     st = store(b.select("v", "d", F.lit(0.0).alias("x"), F.col("b").alias("r"), F.col("b").alias("h"), F.lit(0.0).alias("p"), F.lit(0.0).alias("q")), "solve-state")
     limit = max_iter or st.count()
@@ -133,6 +135,7 @@ def bicgstab(kp: DataFrame, f: DataFrame, part: DataFrame, comm: DataFrame, tol:
         st = st.withColumn("x", F.col("x") + alpha * F.col("p") + omega * F.col("s")).withColumn("r", F.col("s") - omega * F.col("t")).drop("s", "t")
         st = store(st, "solve-state")
         rel = (st.agg(F.sum(F.col("r") * F.col("r"))).first()[0] / goal2) ** 0.5
+    kp.unpersist()
     return Solution(st.select("v", "x"), it, rel)
 
 
