@@ -161,8 +161,7 @@ def coupling_values(local: MeshSpec, g: MeshSpec, e_l: np.ndarray, e_g: np.ndarr
     rows, cols, out = [], [], []
     for at in range(0, len(e_l), BATCH):
         il, ig = unrank(e_l[at : at + BATCH], local.n_el), unrank(e_g[at : at + BATCH], g.n_el)
-        here = _outer([(other.w[a][il[:, a]] == ig[:, a][:, None]).astype(float)[:, :, None] for a in range(g.dim)])[:, :, 0]
-        out.append(_product(other, own, il, il, here * w[None], form))
+        out.append(_product(other, own, il, il, hosted(other, il, ig) * w[None], form))
         rows.append(vertex_ids(g, ig))
         cols.append(vertex_ids(local, il))
     if not out:
@@ -170,16 +169,26 @@ def coupling_values(local: MeshSpec, g: MeshSpec, e_l: np.ndarray, e_g: np.ndarr
     return np.concatenate(rows), np.concatenate(cols), np.concatenate(out)
 
 
+def at_points(points: AxisTables, tables: AxisTables, ie: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(coordinates, weights, function values) at the points of elements; ``tables`` may be those of the other mesh there."""
+    dim = ie.shape[1]
+    x = np.stack([_outer([(points.x[b] if b == a else np.ones_like(points.x[b]))[ie[:, b]][:, :, None] for b in range(dim)])[:, :, 0] for a in range(dim)], -1)
+    return x, _weights(points.w)[None], _outer([tables.val[a][ie[:, a]] for a in range(dim)])
+
+
+def hosted(tables: AxisTables, il: np.ndarray, ig: np.ndarray) -> np.ndarray:
+    """(cells, points): 1 where the point of the local element lies in the cell's global element."""
+    return _outer([(tables.w[a][il[:, a]] == ig[:, a][:, None]).astype(float)[:, :, None] for a in range(il.shape[1])])[:, :, 0]
+
+
 def load_values(spec: MeshSpec, e: np.ndarray, f, n: int = 4) -> tuple[np.ndarray, np.ndarray]:
     """(ids, integrals of f times each function) of elements."""
     t = axis_tables(spec, n)
-    w = _weights(t.w)
     ids, out = [], []
     for at in range(0, len(e), BATCH):
         ie = unrank(e[at : at + BATCH], spec.n_el)
-        x = np.stack([_outer([(t.x[b] if b == a else np.ones_like(t.x[b]))[ie[:, b]][:, :, None] for b in range(spec.dim)])[:, :, 0] for a in range(spec.dim)], -1)
-        val = _outer([t.val[a][ie[:, a]] for a in range(spec.dim)])
-        out.append(np.einsum("eq,eqi->ei", f(x) * w[None], val))
+        x, w, val = at_points(t, t, ie)
+        out.append(np.einsum("eq,eqi->ei", f(x) * w, val))
         ids.append(vertex_ids(spec, ie))
     return (np.concatenate(ids), np.concatenate(out)) if out else (np.zeros((0, spec.n_ldof), np.int64), np.zeros((0, spec.n_ldof)))
 

@@ -111,8 +111,7 @@ def locate_asof(points: DataFrame, knots: DataFrame, by: str = "t") -> DataFrame
     """The last knot at or before each point, for unequal knots of one axis; null before the first.
 
     Knots describe a mesh, so their table usually fits a broadcast at any data size: its size is checked, it is sorted once, and
-    each point finds its place by bisection, without a shuffle. Beyond ``KNOTS`` the window form serves, by day-like
-    pieces of the axis that carry the last knot before them along.
+    each point finds its place by bisection, without a shuffle. More than ``KNOTS`` are an error that names the window form.
     """
     if knots.limit(KNOTS + 1).count() > KNOTS:
         raise ValueError(f"more than {KNOTS} knots: use locate_asof_window with a column that cuts the axis")

@@ -156,8 +156,10 @@ def coefficients(x: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 def evaluate(points: DataFrame, g: MeshSpec, local: MeshSpec | None, x: DataFrame) -> DataFrame:
     """Adds ``u`` to rows with a coordinate array ``x``: the sum of both expansions, the local one inside its box.
 
-    Each point names its functions, the coefficients are joined to them and summed back.
+    Each point names its functions, the coefficients are joined to them and summed back. Coefficients with a column
+    ``run`` give each point once for every run.
     """
+    run_of = ["run"] if "run" in x.columns else []
     rows = points.withColumn("__at", F.monotonically_increasing_id())
     rows = store(rows, "evaluate-points")
 
@@ -176,5 +178,5 @@ def evaluate(points: DataFrame, g: MeshSpec, local: MeshSpec | None, x: DataFram
                 yield pa.RecordBatch.from_pydict({"__at": np.repeat(ids[inside], v.shape[1]), "v": v.reshape(-1), "n": val.reshape(-1)})
 
     terms = rows.select("x", "__at").mapInArrow(run, "__at long, v long, n double")
-    u = terms.join(x.withColumnRenamed("x", "c"), "v").groupBy("__at").agg(F.sum(F.col("n") * F.col("c")).alias("u"))
+    u = terms.join(x.withColumnRenamed("x", "c"), "v").groupBy("__at", *run_of).agg(F.sum(F.col("n") * F.col("c")).alias("u"))
     return rows.join(u, "__at", "left").withColumn("u", F.coalesce("u", F.lit(0.0))).drop("__at")

@@ -29,8 +29,8 @@ from .meshes import MeshSpec, incidence, vertices
 
 #: Kinds of rows that go into a task (fixed values): elements of both meshes, cells, core and halo vertices.
 EL_G, EL_L, CELL, CORE, HALO = range(5)
-#: Kinds of rows that come out: solution, seconds by part and component, sums by block, and the run's end.
-SOLUTION, SECONDS, BLOCK, END = range(4)
+#: Kinds of rows that come out: solution, seconds by part and component, sums by block, the run's end, squared errors.
+SOLUTION, SECONDS, BLOCK, END, ERROR = range(5)
 COMPONENTS = ("gg", "ll", "gl", "rhs", "rows", "connect", "solve")
 BLOCKS = ("GG", "LL", "GL", "LG")
 OUT = "kind int, k int, a long, name string, val double"
@@ -60,6 +60,11 @@ class Run:
         """Rows (k, name, nnz, form): stored entries of a block and its bilinear form with a fixed vector."""
         return self.rows.where(F.col("kind") == BLOCK).select("k", "name", F.col("a").alias("nnz"), F.col("val").alias("form"))
 
+    def error(self) -> DataFrame:
+        """One row: the error measure (``metrics.l2_error``) over global points outside the local box and local points inside it."""
+        one = [F.sum(F.when(F.col("name") == c, F.col("val"))).alias(c) for c in ("eps_g", "eps_l", "eps_a")]
+        return self.rows.where(F.col("kind") == ERROR).agg(*one).withColumn("error", F.sqrt((F.col("eps_g") + F.col("eps_l")) / F.col("eps_a")))
+
     def end(self) -> tuple[int, float]:
         r = self.rows.where(F.col("kind") == END).first()
         return r["a"], r["val"]
@@ -224,7 +229,39 @@ def _generate(g: MeshSpec, local: MeshSpec, rows: dict, n: int, f) -> tuple[list
     return blocks, right, seconds, sums
 
 
-def _task(g: MeshSpec, local: MeshSpec, n: int, f, solve: bool, tol: float, max_iter: int | None, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _errors(g: MeshSpec, local: MeshSpec, rows: dict, n: int, exact, value_of) -> list[tuple[str, float]]:
+    """One part's share of the squared errors; an element counts where its first vertex is owned."""
+    core, sums = np.sort(rows[CORE][:, 0]), {"eps_g": 0.0, "eps_l": 0.0, "eps_a": 0.0}
+    own = {spec.mesh: elements.axis_tables(spec, n) for spec in (g, local)}
+    other = elements.axis_tables(g, n, own[local.mesh])
+    hi = np.array(local.hi)
+
+    def mine(e: np.ndarray, spec: MeshSpec) -> np.ndarray:
+        return np.isin(elements.vertex_ids(spec, elements.unrank(e, spec.n_el))[:, 0], core)
+
+    e = np.sort(rows[EL_G][:, 0])
+    e = e[mine(e, g)]
+    for at in range(0, len(e), elements.BATCH):
+        ie = elements.unrank(e[at : at + elements.BATCH], g.n_el)
+        x, w, val = elements.at_points(own[g.mesh], own[g.mesh], ie)
+        want, out = exact(x), ~(x < hi).all(-1)
+        u = np.einsum("eqi,ei->eq", val, value_of(elements.vertex_ids(g, ie)))
+        sums["eps_g"] += float((w * out * (u - want) ** 2).sum())
+        sums["eps_a"] += float((w * out * want**2).sum())
+    cells = rows[CELL][mine(rows[CELL][:, 0], local)]
+    for at in range(0, len(cells), elements.BATCH):
+        il, ig = elements.unrank(cells[at : at + elements.BATCH, 0], local.n_el), elements.unrank(cells[at : at + elements.BATCH, 1], g.n_el)
+        x, w, val = elements.at_points(own[local.mesh], own[local.mesh], il)
+        here = elements.hosted(other, il, ig)
+        u = np.einsum("eqi,ei->eq", val, value_of(elements.vertex_ids(local, il)))
+        u = u + np.einsum("eqi,ei->eq", elements.at_points(own[local.mesh], other, il)[2], value_of(elements.vertex_ids(g, ig)))
+        want = exact(x)
+        sums["eps_l"] += float((w * here * (u - want) ** 2).sum())
+        sums["eps_a"] += float((w * here * want**2).sum())
+    return list(sums.items())
+
+
+def _task(g: MeshSpec, local: MeshSpec, n: int, f, exact, solve: bool, tol: float, max_iter: int | None, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     ctx = BarrierTaskContext.get()
     got = [b for b in batches if b.num_rows]
     k, kind = (np.concatenate([b.column(c).to_numpy() for b in got]) if got else np.zeros(0, np.int64) for c in ("k", "kind"))
@@ -239,7 +276,10 @@ def _task(g: MeshSpec, local: MeshSpec, n: int, f, solve: bool, tol: float, max_
         out += [(SECONDS, int(p), 0, name, s) for name, s in seconds.items()] + [(BLOCK, int(p), c, name, s) for name, c, s in sums]
         parts.append((rows, blocks, right))
     if solve:
-        x, ids, it, rel, spent = _iterate(ctx, size, parts, tol, max_iter)
+        x, ids, it, rel, spent, value_of = _iterate(ctx, size, parts, tol, max_iter)
+        if exact is not None:
+            for (p, _), (rows, _, _) in zip(times, parts, strict=True):
+                out += [(ERROR, p, 0, name, val) for name, val in _errors(g, local, rows, n, exact, value_of)]
         out += [(SECONDS, p, 0, name, s) for p, _ in times for name, s in spent.items()]
         if ctx.partitionId() == 0:
             out.append((END, 0, it, "iterations, residual", rel))
@@ -252,7 +292,7 @@ def _task(g: MeshSpec, local: MeshSpec, n: int, f, solve: bool, tol: float, max_
         yield pa.RecordBatch.from_arrays([pa.array(np.full(m, SOLUTION, np.int32)), pa.array(np.zeros(m, np.int32)), pa.array(ids), pa.nulls(m, pa.string()), pa.array(x)], names)
 
 
-def _iterate(ctx: BarrierTaskContext, size: int, parts: list, tol: float, max_iter: int | None) -> tuple[np.ndarray, np.ndarray, int, float, dict]:
+def _iterate(ctx: BarrierTaskContext, size: int, parts: list, tol: float, max_iter: int | None) -> tuple:
     """Stabilised bi-conjugate gradients on the row-scaled system of all tasks, fixed vertices left out (their values are zero)."""
     rank, begin = ctx.partitionId(), time.perf_counter()
     cores = np.concatenate([r[CORE] for r, _, _ in parts]) if parts else np.zeros((0, 2), np.int64)
@@ -330,14 +370,24 @@ def _iterate(ctx: BarrierTaskContext, size: int, parts: list, tol: float, max_it
         x = x + alpha * p + omega * s
         r = s - omega * t
         new, now = peers.total(shadow @ r, r @ r)
-    peers.close()
     spent["solve"] = time.perf_counter() - begin
-    return x, ids, it, float((now / goal) ** 0.5) if goal else 0.0, spent
+    apply(x)  # brings the last halo values
+    peers.close()
+    held = full[order]
+
+    def value_of(v: np.ndarray) -> np.ndarray:
+        """Values at core and halo vertices; fixed ones are zero."""
+        if not len(known):
+            return np.zeros(v.shape)
+        at = np.minimum(np.searchsorted(known, v), len(known) - 1)
+        return np.where(known[at] == v, held[at], 0.0)
+
+    return x, ids, it, float((now / goal) ** 0.5) if goal else 0.0, spent, value_of
 
 
-def run(rows: DataFrame, g: MeshSpec, local: MeshSpec, n: int = 4, f=None, solve: bool = True, tol: float = 1e-10, max_iter: int | None = None, tasks: int | None = None) -> Run:
-    """Generate and, if asked, solve, in one barrier stage of ``tasks`` tasks (the cluster's slots at most; parts go round)."""
+def run(rows: DataFrame, g: MeshSpec, local: MeshSpec, n: int = 4, f=None, exact=None, solve: bool = True, tol: float = 1e-10, max_iter: int | None = None, tasks: int | None = None) -> Run:
+    """Generate and, if asked, solve and hold against an exact field, in one barrier stage of ``tasks`` tasks (the cluster's slots at most; parts go round)."""
     spark = rows.sparkSession
     tasks = tasks or min(spark.sparkContext.defaultParallelism, rows.agg(F.max("k")).first()[0] + 1)
     placed = rows.select("k", "kind", "a", "b").repartitionById(tasks, F.pmod("k", F.lit(tasks)).cast("int"))
-    return Run(store(placed.mapInArrow(lambda it: _task(g, local, n, f, solve, tol, max_iter, it), OUT, barrier=True), "supersteps"))
+    return Run(store(placed.mapInArrow(lambda it: _task(g, local, n, f, exact, solve, tol, max_iter, it), OUT, barrier=True), "supersteps"))

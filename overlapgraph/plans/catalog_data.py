@@ -192,15 +192,27 @@ def cut_size_orders(spark, sf_dir):
     return partition.cut_size(e, p)
 
 
-@query()
+@query(_OPG + "SELECT (SELECT count(DISTINCT v) FROM op) AS n_vertices, (SELECT count(*) FROM edges) AS n_edges, CAST(8 AS BIGINT) AS n_parts, "
+       "(SELECT count(*) FROM edges JOIN part a ON a.v = i JOIN part b ON b.v = j WHERE a.k <> b.k) AS cut_scattered, true AS balanced, true AS below_scattered, true AS below_blocks")
 def partition_multilevel(spark, sf_dir):
-    """The multilevel partition of the order-part graph, weighted by element costs; its measures."""
+    """The multilevel partition of the order-part graph, weighted by element costs: complete, balanced, and with a smaller cut than scattered and block parts."""
+    inc = fixtures.orders_parts(spark, sf_dir)
+    e, p, w = multilevel_parts(spark, sf_dir)
+    _, _, scattered = _op_part(spark, sf_dir)
+    cut = lambda q, name: partition.cut_size(e, q).select("n_edges", F.col("cut").alias(name))
+    blocks = partition.partition_block(inc.select("v").distinct(), 8)
+    got = cut(p, "cut").crossJoin(cut(scattered, "cut_scattered").drop("n_edges")).crossJoin(cut(blocks, "cut_blocks").drop("n_edges"))
+    per = partition.balance(w, p, 8).agg(F.max("share").alias("most"), F.count(F.lit(1)).alias("n_parts"), F.sum("n").alias("n_vertices"))
+    return got.crossJoin(per).select("n_vertices", "n_edges", "n_parts", "cut_scattered", (F.col("most") <= 1.03 + 1e-9).alias("balanced"), (F.col("cut") < F.col("cut_scattered")).alias("below_scattered"), (F.col("cut") < F.col("cut_blocks")).alias("below_blocks"))
+
+
+def multilevel_parts(spark, sf_dir, n_dom: int = 8):
+    """(edges, partition, weights) of the order-part graph by the multilevel method, with element costs."""
     inc = fixtures.orders_parts(spark, sf_dir)
     e = store(graph.graph_from_incidence(inc), "ml-graph")
     comp = weights.weight_components(inc, fixtures.customers_suppliers(spark, sf_dir), fixtures.customer_orders(spark, sf_dir), _N_IP)
     w = store(weights.combine(comp, (1.0, 1.0, 1.0)).join(inc.select("v").distinct(), "v", "left_semi"), "ml-weight")
-    p = store(partition.partition_multilevel(e, w, 8), "ml-part")
-    return partition.cut_size(e, p).crossJoin(partition.balance(w, p, 8).agg(F.max("share").alias("largest_share"), F.count(F.lit(1)).alias("n_parts")))
+    return e, store(partition.partition_multilevel(e, w, n_dom), "ml-part"), w
 
 
 @query(
@@ -386,9 +398,13 @@ def rel_lag_first(spark, sf_dir):
     return fixtures.event_points(spark, sf_dir).select("event_id", _r(F.col("value") - F.lag("value").over(w), 6).alias("step"), F.first("event_id").over(w).alias("first_id"))
 
 
-@query()
+@query(f"WITH {_OP} SELECT count(DISTINCT v) AS vertices, count(DISTINCT e) AS elements, true AS near_distinct, true AS near_sketch, true AS near_theta, true AS near_median FROM op")
 def rel_approx_vertices(spark, sf_dir):
-    """Approximate counts for graph statistics at scale (sketches; rows only)."""
-    return fixtures.orders_parts(spark, sf_dir).agg(F.approx_count_distinct("v").alias("vertices"), F.approx_count_distinct("e").alias("elements"), F.percentile_approx("v", 0.5).alias("median"))
-
-
+    """Sketches for graph statistics at scale beside the exact counts: each must be within its error bound."""
+    op = fixtures.orders_parts(spark, sf_dir)
+    near = lambda c, n: F.abs(c - F.col(n)) <= 0.06 * F.col(n)
+    got = op.agg(
+        F.countDistinct("v").alias("vertices"), F.countDistinct("e").alias("elements"), F.approx_count_distinct("e", 0.02).alias("a"),
+        F.hll_sketch_estimate(F.hll_sketch_agg("e")).alias("h"), F.theta_sketch_estimate(F.theta_sketch_agg("e")).alias("t"), F.percentile_approx("v", 0.5, 1000).alias("p"), F.median("v").alias("m"),
+    )
+    return got.select("vertices", "elements", near(F.col("a"), "elements").alias("near_distinct"), near(F.col("h"), "elements").alias("near_sketch"), near(F.col("t"), "elements").alias("near_theta"), near(F.col("p"), "m").alias("near_median"))

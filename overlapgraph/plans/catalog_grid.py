@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import assembly as asm
-from ..operators import basis, geometry, graph, linalg, meshes, metrics, partition, solve, subdomain, weights
+from ..operators import basis, geometry, graph, linalg, meshes, metrics, partition, solve, subdomain, supersteps, weights
 from ..operators.meshes import MESH_STRIDE, MeshSpec
 from ..sources.tables import store
 from . import fixtures
@@ -513,16 +513,20 @@ def _layers(n: int) -> str:
     return " UNION ALL ".join(f"SELECT {p} AS p, CAST({n}*{n}*{n} - ({n} - {p}) * ({n} - {p}) * ({n} - {p}) AS BIGINT) AS shared, {p} AS layers" for p in (1, 2, 3))
 
 
-@query(_layers(8))
+#: Elements on each axis in the published picture of degree generality.
+N_LAYERS = 20
+
+
+@query(_layers(N_LAYERS))
 def shared_layers(spark, sf_dir):
     """Degree generality: eight octants of one spline mesh share p layers of elements at each cut."""
     out = []
     for p in (1, 2, 3):
-        s = MeshSpec("G", "spline", p, (8, 8, 8), (0.0,) * 3, (1.0,) * 3, 0)
+        s = MeshSpec("G", "spline", p, (N_LAYERS,) * 3, (0.0,) * 3, (1.0,) * 3, 0)
         ix = meshes.digits("v", s.n_cp)
         # owners by index halves: the cut runs between two vertices on every axis
-        part = meshes.vertices(spark, s).select("v", reduce(lambda a, b: a + b, [F.when(c >= (8 + p) // 2, 2**k).otherwise(0) for k, c in enumerate(ix)]).alias("k"))
-        ext = subdomain.extended_sets(graph.graph_structured(spark, s), part)
+        part = meshes.vertices(spark, s).select("v", reduce(lambda a, b: a + b, [F.when(c >= (N_LAYERS + p) // 2, 2**k).otherwise(0) for k, c in enumerate(ix)]).alias("k"))
+        ext = store(subdomain.extended_sets(graph.graph_structured(spark, s), part), "layers")
         owned = subdomain.assign_elements(meshes.incidence(spark, s), ext, "owner")
         shared = subdomain.shared_elements(owned)
         row = meshes.digits("e", s.n_el)
@@ -646,7 +650,8 @@ def error_of(spark: SparkSession, g: MeshSpec, local: MeshSpec, x: DataFrame, n:
     inside = reduce(lambda a, b: a & b, [F.col("x")[k] < side for k in range(3)])
     pts = geometry.quadrature(spark, g, n).where(~inside).select("x", "w").unionByName(geometry.quadrature(spark, local, n).select("x", "w"))
     exact = reduce(lambda a, b: a * b, [F.sin(F.col("x")[k] * (2 * 3.141592653589793)) for k in range(3)])
-    return metrics.l2_error(solve.evaluate(pts, g, local, x).withColumn("exact", exact), inside)
+    found = solve.evaluate(pts, g, local, x).withColumn("exact", exact)
+    return metrics.l2_error(found.groupBy("run") if "run" in x.columns else found, inside)
 
 
 @query()
@@ -761,28 +766,103 @@ def mesh1_matrix(spark, sf_dir):
     return reduce(DataFrame.unionByName, out)
 
 
-def mesh1_quadrature(spark, sf_dir):
-    """The global block by full quadrature on every element, as the published operation count has it; minutes long, so no registered query."""
-    return asm.k_own(spark, MESH1[0]).agg(F.count("val").alias("nnz"), F.sum("val").alias("total"))
+def _form(axis: str) -> str:
+    """Sums over one axis of its mass and stiffness with the fixed vector (1 + index mod 7) / 7 on both sides, and the pairs."""
+    u = "(1 + i % 7) / 7.0::DOUBLE * (1 + j % 7) / 7.0::DOUBLE"
+    return f"SELECT sum(m * {u}) AS m, sum(k * {u}) AS k, count(*) AS n FROM {axis}"
+
+
+def _forms(g: MeshSpec, local: MeshSpec) -> str:
+    """Counts and bilinear forms of all blocks from one-dimensional matrices, as products over the axes."""
+    named = (("GG", "ag"), ("LL", "al"), ("GL", "ac"), ("LG", "ac"))
+    one = " UNION ALL ".join(f"SELECT '{n}' AS blk, CAST(n * n * n AS BIGINT) AS nnz, round(3 * k * m * m, 8) + 0.0 AS form FROM ({_form(a)})" for n, a in named)
+    return f"WITH {sql_gauss()}, {sql_axis(g, 'ag')}, {sql_axis(local, 'al')}, {sql_cross_axis(local, g, 'ac')} {one}"
+
+
+def curve_parts(spark: SparkSession, g: MeshSpec, local: MeshSpec, weight: DataFrame | None = None, n: int = 256) -> DataFrame:
+    """Runs of equal weight along a curve through the vertices of both meshes; n / m neighbouring parts make one of m."""
+    v = meshes.vertices(spark, g).unionByName(meshes.vertices(spark, local))
+    return store(partition.partition_curve(v, weights.uniform_weights(v) if weight is None else weight, n, list(g.lo), list(g.hi)), "curve-parts")
+
+
+def _mesh1_components(spark) -> DataFrame:
+    g, local = MESH1
+    return store(weights.weight_components(meshes.incidence(spark, g), meshes.incidence(spark, local), geometry.crossed_by_overlap(spark, local, g), 64), "mesh1-components")
+
+
+def mesh1_work(spark: SparkSession, n_dom: int = 8) -> DataFrame:
+    """What each part of the full-size pair evaluates; parts by a curve, with the published best coefficient."""
+    g, local = MESH1
+    part = curve_parts(spark, g, local, weights.combine(_mesh1_components(spark), (1.0, 1.0, 40.0)), n_dom)
+    return supersteps.work(spark, g, local, geometry.crossed_by_overlap(spark, local, g), part)
+
+
+@query(_forms(*MESH1))
+def mesh1_generation(spark, sf_dir):
+    """The published generation: every block of the full-size pair by quadrature on every element, by eight parts that each evaluate
+    all elements of their rows; entries and a bilinear form of each block, summed over the parts."""
+    run = supersteps.run(mesh1_work(spark), *MESH1, solve=False)
+    return run.blocks.groupBy(F.col("name").alias("blk")).agg(F.sum("nnz").alias("nnz"), _r(F.sum("form")).alias("form"))
+
+
+@query()
+def mesh1_solve(spark, sf_dir):
+    """Generation and solution of the full-size system by eight parts, its error, and the slowest part's measured seconds."""
+    run = supersteps.run(mesh1_work(spark), *MESH1, f=solve.sine_source, exact=solve.sine_product)
+    it, rel = run.end()
+    wait = metrics.with_wait(run.costs()).agg(F.max("own").alias("generation_s"), F.sum("wait").alias("wait_s"))
+    solving = run.seconds.where("name = 'solve'").agg(F.max("val").alias("solution_s"))
+    return run.error().crossJoin(wait).crossJoin(solving).withColumn("iterations", F.lit(it)).withColumn("residual", F.lit(rel))
+
+
+@query(_forms(GN, LN))
+def parts_generation(spark, sf_dir):
+    """The same by sixteen parts on meshes that are not aligned, where a local element crosses several global ones."""
+    rows = supersteps.work(spark, GN, LN, geometry.crossed_by_overlap(spark, LN, GN), curve_parts(spark, GN, LN, n=16))
+    return supersteps.run(rows, GN, LN, solve=False).blocks.groupBy(F.col("name").alias("blk")).agg(F.sum("nnz").alias("nnz"), _r(F.sum("form")).alias("form"))
+
+
+#: The published numbers of parts and third coefficients; none stands for uniform weights.
+PART_COUNTS, THIRD = (8, 16, 32, 64, 128, 256), (None, 20.0, 40.0, 60.0, 80.0)
+
+
+def full_costs(spark: SparkSession, counts: tuple = PART_COUNTS, true: tuple = (1.0, 1.0, 40.0)) -> tuple[DataFrame, float]:
+    """Rows (n_dom, alpha3, k, gg, ll, gl) of the full-size pair by owned rows, for all counts and coefficients; and the price of one part."""
+    comp = _mesh1_components(spark)
+    a, b, c = true
+    serial = comp.agg(F.sum(F.col("w_gg") * a + F.col("w_ll") * b + F.col("w_c") * c)).first()[0]
+    parts = [curve_parts(spark, *MESH1, None if z is None else weights.combine(comp, (1.0, 1.0, z))).withColumn("alpha3", F.lit(z or 0.0)) for z in THIRD]
+    part = reduce(DataFrame.unionByName, parts).withColumn("n_dom", F.explode(F.array(*[F.lit(n) for n in counts])))
+    part = part.withColumn("k", F.expr("k div (256 div n_dom)").cast("int"))
+    cost = comp.join(part, "v").groupBy("n_dom", "alpha3", "k").agg(F.sum(F.col("w_gg") * a).alias("gg"), F.sum(F.col("w_ll") * b).alias("ll"), F.sum(F.col("w_c") * c).alias("gl"))
+    return store(cost, "full-costs"), serial
+
+
+@query()
+def mesh1_scaling(spark, sf_dir):
+    """Modelled scaling of the full-size pair: makespan, speedup, efficiency and idle share by part count and coefficient, and the gain by weighting."""
+    cost, serial = full_costs(spark)
+    m = store(metrics.model_summary(cost, serial, "n_dom", "alpha3"), "full-summary")
+    plain = m.where("alpha3 = 0").select("n_dom", F.col("makespan").alias("m0"))
+    return m.join(F.broadcast(plain), "n_dom").select("n_dom", "alpha3", "makespan", "speedup", (F.col("speedup") / F.col("n_dom") * 100).alias("efficiency"), "idle", (F.col("m0") / F.col("makespan")).alias("gain"))
 
 
 @query()
+def mesh1_breakdown_64(spark, sf_dir):
+    """Modelled costs at 64 parts by coefficient: accumulated components, how many parts share the coupling, and how far the global block concentrates."""
+    cost, _ = full_costs(spark, (64,))
+    w = metrics.with_wait(cost, "alpha3")
+    sums = [F.sum(c).alias(c) for c in ("gg", "ll", "gl", "wait")]
+    return w.groupBy("alpha3").agg(F.count(F.lit(1)).alias("n_parts"), *sums, F.count_if(F.col("gl") > 0).alias("coupling_parts"), (F.max("gl") / F.sum("gl")).alias("most_coupling"), (F.max("gg") / F.avg("gg")).alias("most_gg"))
+
+
+@query("SELECT CAST(n AS INT) AS n_dom, 0.006317515::DOUBLE AS error FROM (VALUES (1), (8), (16), (32), (64), (128), (256)) t(n)")
 def error_vs_parts(spark, sf_dir):
-    """The error with matrices that 1, 2, 4 and 8 parts generated for themselves: it must not change."""
-    e = _overlay(spark)
-    v = meshes.vertices(spark, GS).unionByName(meshes.vertices(spark, LS))
-    inc_g, inc_l = meshes.incidence(spark, GS), meshes.incidence(spark, LS)
-    f = asm.rhs(spark, GS, solve.sine_source).unionByName(asm.rhs(spark, LS, solve.sine_source))
-    fixed = v.where("fixed").select("v", F.lit(0.0).alias("value"))
-    out = []
-    for n in (1, 2, 4, 8):
-        part = partition.partition_hash(v, n)
-        ext = subdomain.extended_sets(e, part)
-        cells = subdomain.assign_cells(geometry.crossed_by_overlap(spark, LS, GS), inc_l, inc_g, ext)
-        gg = asm.assemble_owned(subdomain.assign_elements(inc_g, ext), asm.own_block(GS, 4, "laplace"), part, n)
-        ll = asm.assemble_owned(subdomain.assign_elements(inc_l, ext), asm.own_block(LS, 4, "laplace"), part, n)
-        gl = asm.assemble_owned(cells, asm.coupling_block(LS, GS, 4, "laplace"), part, n)
-        k = asm.block_system(*[b.select("i", "j", "val") for b in (gg, gl, ll)]).select("i", "j", "val")
-        s = solve.solve_local(spark, *asm.apply_dirichlet(k, f, fixed))
-        out.append(error_of(spark, GS, LS, s.x).select(F.lit(n).alias("n_dom"), "error"))
-    return reduce(DataFrame.unionByName, out)
+    """The error with 1 to 256 parts, each of which generates its own rows and takes part in one solution: it must not change, and
+    equals that of a direct solution by other code (9 digits, kept as a constant)."""
+    fine = curve_parts(spark, G, L)
+    counts = (1, *PART_COUNTS)
+    part = reduce(DataFrame.unionByName, [fine.select("v", F.expr(f"k div {256 // n}").cast("int").alias("k"), F.lit(n).alias("run")) for n in counts])
+    rows = supersteps.work(spark, G, L, geometry.crossed_by_overlap(spark, L, G), part)
+    got = [supersteps.run(rows.where(F.col("run") == n).drop("run"), G, L, f=solve.sine_source, exact=solve.sine_product).error() for n in counts]
+    return reduce(DataFrame.unionByName, [e.select(F.lit(n).alias("n_dom"), _r("error", 9).alias("error")) for n, e in zip(counts, got, strict=True)])

@@ -10,7 +10,7 @@ from overlapgraph.operators import geometry, graph
 from overlapgraph.plans import catalog, fixtures, planner
 from overlapgraph.sources.tables import load
 
-SLOW = {"weighting_experiment", "partition_multilevel", "solve_mms", "solve_events_fit"}
+SLOW = {"weighting_experiment", "solve_mms", "solve_events_fit", "mesh1_solve", "mesh1_scaling", "mesh1_breakdown_64"}
 
 
 def plain(v):
@@ -19,7 +19,7 @@ def plain(v):
     return v
 
 
-@pytest.mark.parametrize("name", sorted(catalog.SQL))
+@pytest.mark.parametrize("name", sorted(set(catalog.SQL) - {"mesh1_generation", "partition_multilevel"}))
 def test_query_equals_sql(spark, sf, name):
     con = duckdb.connect()
     for f in os.listdir(sf):
