@@ -827,7 +827,11 @@ PART_COUNTS, THIRD = (8, 16, 32, 64, 128, 256), (None, 20.0, 40.0, 60.0, 80.0)
 
 
 def full_costs(spark: SparkSession, counts: tuple = PART_COUNTS, true: tuple = (1.0, 1.0, 40.0)) -> tuple[DataFrame, float]:
-    """Rows (n_dom, alpha3, k, gg, ll, gl) of the full-size pair by owned rows, for all counts and coefficients; and the price of one part."""
+    """Rows (n_dom, alpha3, k, gg, ll, gl) of the full-size pair by owned rows, for all counts and coefficients; and the price of one part.
+
+    Prices use the coefficients ``true``, so parts cut with the same ones are even by construction: that they win says nothing of
+    which coefficient is best on a machine.
+    """
     comp = _mesh1_components(spark)
     a, b, c = true
     serial = comp.agg(F.sum(F.col("w_gg") * a + F.col("w_ll") * b + F.col("w_c") * c)).first()[0]
@@ -840,7 +844,10 @@ def full_costs(spark: SparkSession, counts: tuple = PART_COUNTS, true: tuple = (
 
 @query()
 def mesh1_scaling(spark, sf_dir):
-    """Modelled scaling of the full-size pair: makespan, speedup, efficiency and idle share by part count and coefficient, and the gain by weighting."""
+    """Modelled scaling of the full-size pair: makespan, speedup, efficiency and idle share by part count and coefficient, and the gain by weighting.
+
+    Prices assume a third coefficient of 40 (see ``full_costs``).
+    """
     cost, serial = full_costs(spark)
     m = store(metrics.model_summary(cost, serial, "n_dom", "alpha3"), "full-summary")
     plain = m.where("alpha3 = 0").select("n_dom", F.col("makespan").alias("m0"))
