@@ -33,6 +33,8 @@ CACHE_PIECES = 150_000
 CACHE_PAIRS = 250_000
 #: Longer pieces are not remembered.
 CACHE_CHARS = 64
+#: Stands between pieces in the automaton's input, whose letters are bytes; not a byte itself.
+SEPARATOR = "\u0100"
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -43,11 +45,11 @@ def byte_alphabet() -> dict[str, int]:
     return out | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-def _category_class(*kinds: str) -> str:
-    """A character class of all code points of the given general categories."""
+def _category_class(*kinds: str, last: int = sys.maxunicode) -> str:
+    """A character class of all code points up to ``last`` of the given general categories."""
     out, start = [], None
-    for c in range(sys.maxunicode + 2):
-        inside = c <= sys.maxunicode and unicodedata.category(chr(c)).startswith(kinds)
+    for c in range(last + 2):
+        inside = c <= last and unicodedata.category(chr(c)).startswith(kinds)
         if inside and start is None:
             start = c
         elif not inside and start is not None:
@@ -60,9 +62,13 @@ def _category_class(*kinds: str) -> str:
 _SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 
 
-def piece_pattern() -> re.Pattern:
-    """The pattern that cuts text before merging: contractions, words, numbers, signs, blanks."""
-    letter, number = _category_class("L"), _category_class("N")
+#: Code points beyond the first plane; classes that hold such ranges test them one by one at the end of every word.
+_BEYOND = re.compile("[\U00010000-\U0010ffff]")
+
+
+def piece_pattern(last: int = sys.maxunicode) -> re.Pattern:
+    """The pattern that cuts text of code points up to ``last`` before merging: contractions, words, numbers, signs, blanks."""
+    letter, number = _category_class("L", last=last), _category_class("N", last=last)
     # fixed pattern, the same as in the vocabulary's description
     return re.compile(f"'s|'t|'re|'ve|'m|'ll|'d| ?[{letter}]+| ?[{number}]+| ?[^{_SPACE}{letter}{number}]+|[{_SPACE}]+(?![^{_SPACE}])|[{_SPACE}]+")
 
@@ -94,7 +100,7 @@ class PrefixEncoder:
                 self.automaton.add_word(raw.decode("latin-1"), (i, len(raw)))
         self.automaton.make_automaton()
         self.pairs: dict[int, bool] = {}  # by left << 32 | right
-        self.pattern = piece_pattern()
+        self.pattern, self.plain, self.ascii = piece_pattern(), piece_pattern(0xFFFF), piece_pattern(0x7F)
         self.cut = re.compile("(" + "|".join(re.escape(s) for s in sorted(self.special, key=len, reverse=True)) + ")") if self.special else None
         self.cache: dict[str, bytes] = {}
 
@@ -132,54 +138,70 @@ class PrefixEncoder:
 
     def piece(self, raw: bytes) -> list[int]:
         """Ids of one piece, by the last token of each of its prefixes."""
-        n = len(raw)
-        last, width = [-1] * (n + 1), [0] * (n + 1)
+        return self._pieces([raw])[0].tolist() if raw else []
+
+    def _pieces(self, raws: list[bytes]) -> list[array]:
+        """Ids of pieces that are not empty; one pass of the automaton over all, with a sign between them that no token holds."""
+        joined = SEPARATOR.join([raw.decode("latin-1") for raw in raws])
+        # last token of the prefix that ends here: none yet, or the piece's start
+        last, width = [-1] * (len(joined) + 1), [0] * (len(joined) + 1)
+        at = 0
+        for raw in raws:
+            last[at] = -2
+            at += len(raw) + 1
         may = self.may_follow
-        pairs = self.pairs
-        for end, (token, size) in self.automaton.iter(raw.decode("latin-1")):
+        known = self.pairs.get
+        for end, (token, size) in self.automaton.iter(joined):
             end += 1
-            if last[end] >= 0:
+            if last[end] != -1:
+                continue
+            prev = last[end - size]
+            if prev < 0:
+                if prev == -2:
+                    last[end], width[end] = token, size
                 continue
-            before = end - size
-            if before == 0:
+            ok = known(prev << 32 | token)
+            if may(prev, token) if ok is None else ok:
                 last[end], width[end] = token, size
-            else:
-                prev = last[before]
-                if prev >= 0:
-                    ok = pairs.get(prev << 32 | token)
-                    if may(prev, token) if ok is None else ok:
-                        last[end], width[end] = token, size
-        out = []
-        while n > 0:
-            if not width[n]:
-                raise ValueError("the vocabulary has no token for some byte")
-            out.append(last[n])
-            n -= width[n]
-        out.reverse()
+        out, at = [], 0
+        for raw in raws:
+            start, n, ids = at, at + len(raw), array("I")
+            at = n + 1
+            while n > start:
+                if not width[n]:
+                    raise ValueError("the vocabulary has no token for some byte")
+                ids.append(last[n])
+                n -= width[n]
+            ids.reverse()
+            out.append(ids)
         return out
 
-    def _packed(self, text: str) -> bytes:
-        got = self.cache.get(text)
-        if got is None:
-            ids = array("I", self.piece(text.encode("utf-8")))
+    def _learn(self, new: list[str]) -> dict[str, bytes]:
+        """Ids of pieces that are not remembered; the shorter ones are from now on."""
+        out = {}
+        for text, ids in zip(new, self._pieces([t.encode("utf-8") for t in new]), strict=True):
             if sys.byteorder == "big":
                 ids.byteswap()
-            got = ids.tobytes()
-            if len(text) <= CACHE_CHARS:
-                if len(self.cache) >= CACHE_PIECES:
-                    self.cache.clear()
-                self.cache[text] = got
-        return got
+            out[text] = ids.tobytes()
+        if len(self.cache) + len(out) > CACHE_PIECES:
+            self.cache.clear()
+        self.cache |= {t: p for t, p in out.items() if len(t) <= CACHE_CHARS} if len(out) <= CACHE_PIECES else {}
+        return out
 
     def encode_packed(self, text: str) -> bytes:
         """Ids of a whole text as little-endian unsigned 32-bit integers."""
         out = []
+        pattern = self.ascii if text.isascii() else self.pattern if _BEYOND.search(text) else self.plain
         for i, part in enumerate(self.cut.split(text) if self.cut else [text]):
             if i % 2:
                 out.append(self.special[part].to_bytes(4, "little"))
             elif part:
-                get, slow = self.cache.get, self._packed
-                out.extend([get(p) or slow(p) for p in self.pattern.findall(part)])
+                cut = pattern.findall(part)
+                got = list(map(self.cache.get, cut))
+                if None in got:
+                    new = self._learn(list({p for p, g in zip(cut, got, strict=True) if g is None}))
+                    got = [new[p] if g is None else g for p, g in zip(cut, got, strict=True)]
+                out += got
         return b"".join(out)
 
     def encode(self, text: str) -> list[int]:

@@ -69,6 +69,24 @@ def test_registers_estimate_probability_jaccard():
     assert abs(np.mean(errors)) < 0.03 and max(map(abs, errors)) < 0.1
 
 
+def test_bpe_learns_the_new_pieces_of_a_text_in_one_pass():
+    """One start of the automaton a text, and narrower patterns that cut as the whole one does."""
+    coder = bpe.PrefixEncoder(bpe.read_spec(bpe_path()))
+    texts = ["zqxj vwkp 8371 it's", "h\u00e9ll\u00f6 \u4e2d\u6587 \u0663\u0664\u2028x", "a\U0001d400b \U00020000\U0001f600 \U0001d7d8", "\x85\xa0 \t'll  ", ""]
+    want = [[i for p in coder.pattern.findall(t) for i in coder.piece(p.encode())] for t in texts]
+    starts, real = [], coder.automaton
+
+    class Counted:
+        def iter(self, joined):
+            starts.append(joined)
+            return real.iter(joined)
+
+    coder.automaton = Counted()
+    assert [coder.encode(t) for t in texts] == want and len(starts) == 4
+    assert [coder.encode(t) for t in texts] == want and len(starts) == 4
+    assert len(coder.ascii.pattern) < len(coder.plain.pattern) < len(coder.pattern.pattern)
+
+
 def test_bpe_equals_the_tokenizers_library():
     from tokenizers import Tokenizer
 
