@@ -231,6 +231,22 @@ def test_multilevel_beats_scattering(spark, sf):
     assert p.count() == 400
 
 
+def test_multilevel_takes_few_rounds(spark, monkeypatch):
+    """Each round reads all edges, so their number must not follow the halving of the vertices."""
+    rng = np.random.default_rng(5)
+    ends = np.unique(np.sort(rng.integers(0, 3000, (30_000, 2)), 1), axis=0)
+    e = spark.createDataFrame([(int(a), int(b)) for a, b in ends if a < b], "i long, j long")
+    w = spark.range(3000).select(F.col("id").alias("v"), (1.0 + F.col("id") % 3).alias("w"))
+    rounds, real = [], partition.store
+    monkeypatch.setattr(partition, "store", lambda df, name: (rounds.append(name), real(df, name))[1])
+    part = partition.partition_multilevel(e, w, 4, coarse=60)
+    assert rounds.count("ml-map") <= 6
+    assert part.count() == 3000 and partition.balance(w, part, 4).where("share > 1.03 + 1e-9").isEmpty()
+    hashed = partition.partition_hash(w, 4)
+    both = partition.cut_sizes(e, {"a": part, "b": hashed}).first()
+    assert both["a"] == partition.cut_size(e, part).first()["cut"] < both["b"] == partition.cut_size(e, hashed).first()["cut"]
+
+
 def test_multilevel_reaches_the_driver_size_on_stars(spark, monkeypatch):
     seen, grow = [], partition._grow
     monkeypatch.setattr(partition, "_grow", lambda n, *a: seen.append(n) or grow(n, *a))
