@@ -40,6 +40,24 @@ def test_chunked_pairs_equal_plain_pairs(spark):
     assert rows(graph.graph_from_incidence(twice)) == rows(graph.graph_from_incidence(inc))
 
 
+def test_classes_keep_every_link(spark):
+    """Classes spelt out give all pairs; two thousand copies give rows by their number, not its square."""
+    rng = np.random.default_rng(3)
+    rows = {(f"e{int(e)}", int(v)) for e, v in zip(rng.integers(0, 12, 300), rng.integers(0, 120, 300), strict=True)} | {("one", 900), ("lone", 901), (None, 902)}
+    rows |= {("copy", 1000 + k) for k in range(2000)} | {("copy", 5), ("other", 1000), ("other", 5)}
+    inc = spark.createDataFrame(sorted(rows, key=str), "e string, v long").where("e is not null")
+    got = graph.graph_of_classes(inc).collect()
+    assert len(got) < 2 * len(rows)
+    members: dict = {}
+    for r in got:
+        if r.kind == "member":
+            members.setdefault(r.i, []).append(r.j)
+    assert {i: min(m) for i, m in members.items()} == {i: i for i in members} and sum(map(len, members.values())) == len({v for m in members.values() for v in m})
+    pairs = {(a, b) for m in members.values() for a in m for b in m if a < b}
+    pairs |= {(min(a, b), max(a, b)) for r in got if r.kind == "link" for a in members[r.i] for b in members[r.j]}
+    assert pairs == {(r.i, r.j) for r in graph.graph_from_incidence(inc).where("i <> j").collect()}
+
+
 def test_between_meshes_exact_and_sampled(spark):
     cells = geometry.crossed_elements(geometry.coupling_map(geometry.quadrature(spark, LN, 4), GN))
     sampled = set(rows(graph.graph_from_cells(cells, meshes.incidence(spark, LN), meshes.incidence(spark, GN)).select("i", "j")))
