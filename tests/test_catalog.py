@@ -41,7 +41,7 @@ def test_other_queries_run(spark, sf, name):
 
 
 #: Queries that made their data up in an earlier round.
-ON_TABLES = ["accumulated_breakdown", "assign_cells", "assign_containment", "assign_owner", "balance_report", "bernstein_table", "candidate_pattern", "comm_plan", "control_points", "cost_breakdown", "coupling_map_grid"]
+ON_TABLES = ["accumulated_breakdown", "assign_cells", "assign_containment", "assign_owner", "balance_report", "bernstein_table", "candidate_pattern", "comm_plan", "control_points", "cost_breakdown", "coupling_map_grid", "crossed_elements"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
